@@ -81,8 +81,9 @@ def packer(width: int, seed_words: int, buckets: int):
         by: dict[int, list] = {}
         for text, x in seen.items():
             by.setdefault(x[0] % buckets, []).append((text, x))
-        dest, blobs, press = [], [], zstandard.ZstdCompressor(level=1)
+        dest, blobs, press = [], [], zstandard.ZstdCompressor(level=3)
         for d, items in by.items():
+            items.sort(key=lambda item: item[1][0])  # strings of one minimiser are alike, so they compress well side by side
             heads = np.array([(x[0], x[1], x[2], x[3], x[4]) for _, x in items], dtype=[("mini", "u8"), ("k1", "i8"), ("k2", "i8"), ("at", "i8"), ("many", "i8")])
             dest.append(d)
             blobs.append(len(items).to_bytes(8, "little") + press.compress(heads.tobytes() + "\n".join(t for t, _ in items).encode("utf-8", "surrogatepass")))
