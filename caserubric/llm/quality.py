@@ -13,7 +13,6 @@ import math
 import re
 from collections import Counter
 from collections.abc import Iterator
-from operator import eq
 
 import numpy as np
 import pyarrow as pa
@@ -52,30 +51,42 @@ SIGNALS = tuple(x[0] for x in LABELLERS)
 
 
 class Tokens(dict):
-    """Facts on a token, remembered for up to half a million: symbols, capitals, letters, stop word, bare mark, bins, toxic."""
+    """Tokens numbered as they come, with a row of facts for each; forgotten between texts beyond half a million.
 
-    def __init__(self, toxic: frozenset[str] = frozenset()):
+    Facts: symbols, capitals, letters, stop word, bare mark, length, toxic, and the bins of the token and of its shape.
+    worth is the sum of the weights of both bins.
+    """
+
+    def __init__(self, toxic: frozenset[str] = frozenset(), weights: np.ndarray | None = None):
         super().__init__()
-        self.toxic = toxic
+        self.toxic, self.weights = toxic, weights
+        self.facts, self.worth = np.zeros((4096, 9), np.int32), np.zeros(4096)
 
-    def __missing__(self, w: str):
-        if len(self) > 500_000:
-            self.clear()
+    def __missing__(self, w: str) -> int:
+        k = len(self)
+        if k == len(self.worth):
+            self.facts, self.worth = np.concatenate((self.facts, np.zeros_like(self.facts))), np.concatenate((self.worth, np.zeros(k)))
         letters = sum(map(str.isalpha, w))
         marks = len(w) - sum(map(str.isalnum, w))
         shape = re.sub(r"(.)\1+", r"\1", "".join("A" if c.isupper() else "a" if c.isalpha() else "0" if c.isdigit() else c for c in w))
         bins = [xxhash.xxh64_intdigest(k.encode("utf-8", "surrogatepass")) % BINS for k in ("w" + w.lower(), "s" + shape)]
-        fact = self[w] = (marks, sum(map(str.isupper, w)), letters, w.lower().strip(".,;:!?") in STOP_WORDS, marks == len(w), *bins, not self.toxic.isdisjoint(PARTS(w.lower())))
-        return fact
+        self.facts[k] = (marks, sum(map(str.isupper, w)), letters, w.lower().strip(".,;:!?") in STOP_WORDS, marks == len(w), len(w), not self.toxic.isdisjoint(PARTS(w.lower())), *bins)
+        if self.weights is not None:
+            self.worth[k] = self.weights[bins].sum()
+        self[w] = k
+        return k
+
+    def numbers(self, ws: list[str]) -> np.ndarray:
+        if len(self) > 500_000:
+            self.clear()
+        return np.fromiter(map(self.__getitem__, ws), np.int64, len(ws))
 
 
-def signals(ws: list[str], counts: Counter, facts: Tokens) -> tuple[float, ...]:
-    marks = capitals = letters = stop = bare = chars = 0
-    for w, c in counts.items():
-        f = facts[w]
-        marks, capitals, letters, stop, bare, chars = marks + c * f[0], capitals + c * f[1], letters + c * f[2], stop + c * f[3], bare + c * f[4], chars + c * len(w)
+def signals(ws: list[str], at: np.ndarray, facts: Tokens) -> tuple[tuple[float, ...], bool]:
+    """The signals of a text, and whether it has a toxic token."""
+    marks, capitals, letters, stop, bare, chars, toxic = facts.facts.take(at, axis=0).sum(axis=0, dtype=np.int64)[:7].tolist()
     n = max(1, len(ws))
-    return (marks / max(1, chars), capitals / max(1, letters), len(counts) / n, stop / n, sum(map(eq, ws, ws[1:])) / n, bare / n)
+    return (marks / max(1, chars), capitals / max(1, letters), len(set(ws)) / n, stop / n, int((at[1:] == at[:-1]).sum()) / n, bare / n), toxic > 0
 
 
 def votes(x: tuple[float, ...], n: int) -> tuple[int, ...]:
@@ -126,15 +137,12 @@ def described(fraction: float):
             rows = []
             for text, h in zip(batch.column("text"), batch.column("h").to_pylist(), strict=True):
                 ws = FIND(text.as_py() or "")
-                counts = Counter(ws)
-                x = signals(ws, counts, facts)
+                at = facts.numbers(ws)
+                x, _ = signals(ws, at, facts)
                 idx, val = [], []
-                if h is not None and h < fraction:
-                    bins: Counter = Counter()
-                    for w, c in counts.items():
-                        for b in facts[w][5:7]:
-                            bins[b] += c
-                    idx, val = list(bins), [c / len(ws) for c in bins.values()]
+                if ws and h is not None and h < fraction:
+                    bins, times = np.unique(facts.facts[at, 7:], return_counts=True)
+                    idx, val = bins.tolist(), (times / len(ws)).tolist()
                 rows.append((",".join(map(str, votes(x, len(ws)))), idx, val, list(x)))
             cols = zip(*rows, strict=True) if rows else [()] * 4
             yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, (pa.string(), pa.list_(pa.int64()), pa.list_(pa.float64()), pa.list_(pa.float64())), strict=True)], ["votes", "idx", "val", "signals"])
@@ -197,17 +205,17 @@ def toxic_words(docs: DataFrame, labels: DataFrame, sample_docs: int = LABELLED_
 
 def scorer(weights: np.ndarray, lexicon: frozenset[str]):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        facts, w = Tokens(lexicon), weights.tolist()
+        facts = Tokens(lexicon, weights)
         dense = weights[BINS:]
         for batch in batches:
             score, toxic, seen = [], [], []
             for text in batch.column("text"):
                 ws = FIND(text.as_py() or "")
-                counts = Counter(ws)
-                x = signals(ws, counts, facts)
-                z = sum(c * (w[(f := facts[t])[5]] + w[f[6]]) for t, c in counts.items()) / max(1, len(ws)) + float(np.dot(dense, (*x, 1.0)))
+                at = facts.numbers(ws)
+                x, bad = signals(ws, at, facts)
+                z = float(facts.worth[at].sum()) / max(1, len(ws)) + float(np.dot(dense, (*x, 1.0)))
                 score.append(1 / (1 + math.exp(-min(30.0, max(-30.0, z)))) if ws else 0.0)
-                toxic.append(any(facts[t][7] for t in counts))
+                toxic.append(bad)
                 seen.append(",".join(map(str, votes(x, len(ws)))))
             yield pa.RecordBatch.from_arrays([batch.column("row"), pa.array(score, pa.float64()), pa.array(toxic, pa.bool_()), pa.array(seen, pa.string())], ["row", "quality", "toxic", "votes"])
 
