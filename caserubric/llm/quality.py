@@ -13,6 +13,7 @@ import math
 import re
 from collections import Counter
 from collections.abc import Iterator
+from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
@@ -50,6 +51,20 @@ LABELLERS = (
 SIGNALS = tuple(x[0] for x in LABELLERS)
 
 
+def bin_of(name: str) -> int:
+    return xxhash.xxh64_intdigest(name.encode("utf-8", "surrogatepass")) % BINS
+
+
+@lru_cache(1 << 16)
+def shape_bin(shape: str) -> int:
+    return bin_of("s" + shape)
+
+
+def shape_of(w: str) -> str:
+    """The token with A for capitals, a for other letters and 0 for digits; a run of one character counts once."""
+    return re.sub(r"(.)\1+", r"\1", "".join("A" if c.isupper() else "a" if c.isalpha() else "0" if c.isdigit() else c for c in w))
+
+
 class Tokens(dict):
     """Tokens numbered as they come, with a row of facts for each; forgotten between texts beyond half a million.
 
@@ -61,25 +76,36 @@ class Tokens(dict):
         super().__init__()
         self.toxic, self.weights = toxic, weights
         self.facts, self.worth = np.zeros((4096, 9), np.int32), np.zeros(4096)
+        self.fresh: list[int] = []  # facts of tokens that the arrays don't have yet
 
     def __missing__(self, w: str) -> int:
-        k = len(self)
-        if k == len(self.worth):
-            self.facts, self.worth = np.concatenate((self.facts, np.zeros_like(self.facts))), np.concatenate((self.worth, np.zeros(k)))
-        letters = sum(map(str.isalpha, w))
-        marks = len(w) - sum(map(str.isalnum, w))
-        shape = re.sub(r"(.)\1+", r"\1", "".join("A" if c.isupper() else "a" if c.isalpha() else "0" if c.isdigit() else c for c in w))
-        bins = [xxhash.xxh64_intdigest(k.encode("utf-8", "surrogatepass")) % BINS for k in ("w" + w.lower(), "s" + shape)]
-        self.facts[k] = (marks, sum(map(str.isupper, w)), letters, w.lower().strip(".,;:!?") in STOP_WORDS, marks == len(w), len(w), not self.toxic.isdisjoint(PARTS(w.lower())), *bins)
-        if self.weights is not None:
-            self.worth[k] = self.weights[bins].sum()
-        self[w] = k
+        n, low = len(w), w.lower()
+        if w.isalpha():
+            marks, letters = 0, n
+        else:
+            marks, letters = n - sum(map(str.isalnum, w)), sum(map(str.isalpha, w))
+        capitals = 0 if w == low and w.islower() else sum(map(str.isupper, w))
+        toxic = low in self.toxic if low.isalnum() else not self.toxic.isdisjoint(PARTS(low))
+        shape = "a" if letters == n and not capitals else shape_of(w)
+        self.fresh += (marks, capitals, letters, low.strip(".,;:!?") in STOP_WORDS, marks == n, n, toxic, bin_of("w" + low), shape_bin(shape))
+        k = self[w] = len(self)
         return k
 
     def numbers(self, ws: list[str]) -> np.ndarray:
         if len(self) > 500_000:
             self.clear()
-        return np.fromiter(map(self.__getitem__, ws), np.int64, len(ws))
+        old = len(self)
+        at = np.fromiter(map(self.__getitem__, ws), np.int64, len(ws))
+        if self.fresh:
+            rows = np.array(self.fresh, np.int32).reshape(-1, 9)
+            self.fresh = []
+            if len(self) > len(self.worth):
+                more = max(len(self), 2 * len(self.worth)) - len(self.worth)
+                self.facts, self.worth = np.concatenate((self.facts, np.zeros((more, 9), np.int32))), np.concatenate((self.worth, np.zeros(more)))
+            self.facts[old : len(self)] = rows
+            if self.weights is not None:
+                self.worth[old : len(self)] = self.weights[rows[:, 7:]].sum(axis=1)
+        return at
 
 
 def signals(ws: list[str], at: np.ndarray, facts: Tokens) -> tuple[tuple[float, ...], bool]:
