@@ -3,8 +3,8 @@
 Heuristic labellers vote good, bad or nothing on each document. Expectation-maximisation over the counts of vote
 patterns, which are few whatever the corpus, estimates how each labeller votes on good and on bad documents. The
 posteriors label a bounded sample, on which a linear scorer over hashed tokens and token shapes is trained; the scorer
-rates every whole text. Toxic documents are told by words, listed or learnt from a bounded sample of labelled rows, and
-are rejected apart from their quality.
+rates every whole text. Toxic documents are told by listed words and by a second linear scorer over hashed words and
+beginnings of words, fitted on a bounded sample of labelled rows; they are rejected apart from their quality.
 """
 
 from __future__ import annotations
@@ -26,7 +26,8 @@ from .common import WORD, publish
 FIND = re.compile(WORD).findall
 BINS = 1 << 14
 SAMPLE_DOCS = 4000  # expected size of the training sample, whatever the corpus
-LABELLED_DOCS = 20_000  # expected number of labelled rows from which toxic words are learnt
+LABELLED_DOCS = 20_000  # expected number of labelled rows on which the toxic scorer is fitted
+HARM_BINS = 1 << 17  # hashed words and beginnings of words of the toxic scorer
 
 # Frequent function words of English, German, French and Spanish.
 STOP_WORDS = frozenset(
@@ -65,18 +66,31 @@ def shape_of(w: str) -> str:
     return re.sub(r"(.)\1+", r"\1", "".join("A" if c.isupper() else "a" if c.isalpha() else "0" if c.isdigit() else c for c in w))
 
 
+def harm_bins(w: str) -> list[int]:
+    """The bins of a lower-case word: the word itself and its beginnings of 2 to 8 characters."""
+    digest = xxhash.xxh64_intdigest
+    return [digest(x.encode("utf-8", "surrogatepass")) % HARM_BINS for x in ("w" + w, *("p" + w[:k] for k in range(2, min(len(w), 8) + 1)))]
+
+
+def harm_scale(n: int) -> float:
+    """A feature counts by its share of the n words, in units of 50; 20 words are added so that short texts aren't all or nothing."""
+    return 50.0 / (n + 20)
+
+
 class Tokens(dict):
     """Tokens numbered as they come, with a row of facts for each; forgotten between texts beyond half a million.
 
     Facts: symbols, capitals, letters, stop word, bare mark, length, toxic, and the bins of the token and of its shape.
-    worth is the sum of the weights of both bins.
+    worth is the sum of the weights of both bins; harm the toxic weights of the token's words and their number, if asked.
     """
 
-    def __init__(self, toxic: frozenset[str] = frozenset(), weights: np.ndarray | None = None):
+    def __init__(self, toxic: frozenset[str] = frozenset(), weights: np.ndarray | None = None, harmful: np.ndarray | None = None):
         super().__init__()
         self.toxic, self.weights = toxic, weights
-        self.facts, self.worth = np.zeros((4096, 9), np.int32), np.zeros(4096)
+        self.harmful = None if harmful is None else harmful.tolist()
+        self.facts, self.worth, self.harm = np.zeros((4096, 9), np.int32), np.zeros(4096), np.zeros((4096, 2))
         self.fresh: list[int] = []  # facts of tokens that the arrays don't have yet
+        self.fresh_harm: list[float] = []
 
     def __missing__(self, w: str) -> int:
         n, low = len(w), w.lower()
@@ -88,6 +102,9 @@ class Tokens(dict):
         toxic = low in self.toxic if low.isalnum() else not self.toxic.isdisjoint(PARTS(low))
         shape = "a" if letters == n and not capitals else shape_of(w)
         self.fresh += (marks, capitals, letters, low.strip(".,;:!?") in STOP_WORDS, marks == n, n, toxic, bin_of("w" + low), shape_bin(shape))
+        if self.harmful is not None:
+            parts = (low,) if low.isalnum() else PARTS(low)
+            self.fresh_harm += (sum(self.harmful[b] for p in parts for b in harm_bins(p)), len(parts))
         k = self[w] = len(self)
         return k
 
@@ -102,9 +119,13 @@ class Tokens(dict):
             if len(self) > len(self.worth):
                 more = max(len(self), 2 * len(self.worth)) - len(self.worth)
                 self.facts, self.worth = np.concatenate((self.facts, np.zeros((more, 9), np.int32))), np.concatenate((self.worth, np.zeros(more)))
+                self.harm = np.concatenate((self.harm, np.zeros((more, 2))))
             self.facts[old : len(self)] = rows
             if self.weights is not None:
                 self.worth[old : len(self)] = self.weights[rows[:, 7:]].sum(axis=1)
+            if self.harmful is not None:
+                self.harm[old : len(self)] = np.array(self.fresh_harm).reshape(-1, 2)
+                self.fresh_harm = []
         return at
 
 
@@ -138,17 +159,17 @@ def posteriors(patterns: np.ndarray, counts: np.ndarray, rounds: int = 60) -> tu
     return p, {"prior_good": float(prior[1]), "accuracy": accuracy}
 
 
-def fit_scorer(docs: list[tuple[list[int], list[float], list[float]]], target: np.ndarray, rounds: int = 120, rate: float = 0.5, ridge: float = 1e-4) -> np.ndarray:
-    """Weights of BINS hashed features, the signals and a bias, by full-batch adaptive gradient descent."""
+def fit_scorer(docs: list[tuple[list[int], list[float], list[float]]], target: np.ndarray, rounds: int = 120, rate: float = 0.5, ridge: float = 1e-4, bins: int = BINS) -> np.ndarray:
+    """Weights of the hashed features, the signals and a bias, by full-batch adaptive gradient descent."""
     idx = np.concatenate([np.asarray(d[0], np.int64) for d in docs])
     val = np.concatenate([np.asarray(d[1]) for d in docs])
     row = np.repeat(np.arange(len(docs)), [len(d[0]) for d in docs])
     dense = np.column_stack((np.array([d[2] for d in docs]), np.ones(len(docs))))
-    w, past = np.zeros(BINS + dense.shape[1]), np.full(BINS + dense.shape[1], 1e-8)
+    w, past = np.zeros(bins + dense.shape[1]), np.full(bins + dense.shape[1], 1e-8)
     for _ in range(rounds):
-        z = np.bincount(row, val * w[idx], minlength=len(docs)) + dense @ w[BINS:]
+        z = np.bincount(row, val * w[idx], minlength=len(docs)) + dense @ w[bins:]
         err = (1 / (1 + np.exp(-np.clip(z, -30, 30))) - target) / len(docs)
-        grad = np.concatenate((np.bincount(idx, val * err[row], minlength=BINS), dense.T @ err)) + ridge * w
+        grad = np.concatenate((np.bincount(idx, val * err[row], minlength=bins), dense.T @ err)) + ridge * w
         past += grad**2
         w -= rate * grad / np.sqrt(past)
     return w
@@ -197,41 +218,71 @@ def train(docs: DataFrame, text_col: str = "text", sample_docs: int = SAMPLE_DOC
     return model
 
 
-def word_counts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """(text, toxic) to (word, toxic documents, clean documents) of the task; the null word counts documents."""
-    with_word: tuple[Counter, Counter] = (Counter(), Counter())
+def harm_features(text: str) -> tuple[np.ndarray, np.ndarray]:
+    """Bins of a text's words and their values, which depend on the share of the words that have them."""
+    ws = PARTS(text.lower())
+    found: Counter = Counter()
+    for w, n in Counter(ws).items():
+        for b in harm_bins(w):
+            found[b] += n
+    return np.fromiter(found.keys(), np.int32, len(found)), np.fromiter(found.values(), np.float32, len(found)) * np.float32(harm_scale(len(ws)))
+
+
+def harm_counts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """(text, toxic) to (bin, toxic documents, clean documents) of the task; the last bin counts documents."""
+    seen = np.zeros((2, HARM_BINS + 1), np.int64)
     for batch in batches:
         for text, bad in zip(batch.column("text"), batch.column("toxic").to_pylist(), strict=True):
-            with_word[not bad].update({*PARTS((text.as_py() or "").lower()), None})
-    words = list(with_word[0] | with_word[1])
-    yield pa.RecordBatch.from_arrays([pa.array(words, pa.string()), *(pa.array([c[w] for w in words], pa.int64()) for c in with_word)], ["word", "toxic", "clean"])
+            seen[int(not bad), harm_features(text.as_py() or "")[0]] += 1
+            seen[int(not bad), HARM_BINS] += 1
+    at = np.flatnonzero(seen.any(axis=0))
+    yield pa.RecordBatch.from_arrays([pa.array(at, pa.int64()), *(pa.array(c[at], pa.int64()) for c in seen)], ["bin", "toxic", "clean"])
+
+
+def harm_rows(chosen: np.ndarray):
+    """(text, toxic) to (toxic, idx, val): the chosen features of each text, packed as 32-bit numbers."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            idx, val = [], []
+            for text in batch.column("text"):
+                i, v = harm_features(text.as_py() or "")
+                live = chosen[i]
+                idx.append(i[live].tobytes())
+                val.append(v[live].tobytes())
+            yield pa.RecordBatch.from_arrays([batch.column("toxic"), pa.array(idx, pa.binary()), pa.array(val, pa.binary())], ["toxic", "idx", "val"])
+
+    return run
 
 
-def toxic_words(docs: DataFrame, labels: DataFrame, sample_docs: int = LABELLED_DOCS, id_col: str = "doc_id", text_col: str = "text") -> frozenset[str]:
-    """ABUSE and the words that labelled toxic documents have and clean ones lack, beyond what chance explains.
+def fit_toxic(docs: DataFrame, labels: DataFrame, sample_docs: int = LABELLED_DOCS, id_col: str = "doc_id", text_col: str = "text") -> np.ndarray | None:
+    """Weights of HARM_BINS features and a bias; null if the labelled rows are all toxic or all clean.
 
-    A word needs enough toxic documents that no word of the sample is expected to have as many by chance, and at most one clean
-    document in twenty. Labels with a null id or null toxic are left out.
+    Features that two toxic documents have, and toxic ones at more than twice the rate of clean ones, are fitted; the others
+    weigh nothing. Labels with a null id or null toxic are left out. At most HARM_BINS + 1 counts and the chosen features of
+    the bounded sample come to the driver.
     """
     named = labels.where(F.col("toxic").isNotNull() & F.col(id_col).isNotNull())
     share = min(1.0, sample_docs / max(1, named.count()))
     # The sample's size is bounded by the parameter, so it may be sent to all executors.
     sample = named.where(F.pmod(F.xxhash64(id_col), F.lit(1 << 20)) < F.lit(share * (1 << 20))).limit(2 * sample_docs).select(F.col(id_col).alias("_id"), (F.col("toxic") == 1).alias("toxic"))
     texts = docs.select(F.col(id_col).alias("_id"), F.coalesce(F.col(text_col), F.lit("")).alias("text")).join(F.broadcast(sample), "_id").select("text", "toxic")
-    counted = texts.mapInArrow(word_counts, "word string, toxic long, clean long").groupBy("word").agg(F.sum("toxic").alias("toxic"), F.sum("clean").alias("clean"))
-    counted = publish(counted, "words")
-    whole = counted.where("word is null").first()
-    if not whole or not whole["toxic"] or not whole["clean"]:
-        return frozenset(ABUSE)
-    rate = whole["toxic"] / (whole["toxic"] + whole["clean"])
-    least = max(3, math.ceil((math.log(counted.count()) + 5) / -math.log(min(0.9, rate))))
-    learnt = counted.where((F.col("toxic") >= least) & (F.col("clean") * 20 <= F.col("toxic")) & F.col("word").isNotNull()).orderBy(F.col("toxic").desc(), "word").limit(5000).collect()
-    return frozenset(ABUSE) | {r["word"] for r in learnt}
-
-
-def scorer(weights: np.ndarray, lexicon: frozenset[str]):
+    texts = publish(texts, "labelled")
+    found = texts.mapInArrow(harm_counts, "bin long, toxic long, clean long").groupBy("bin").agg(F.sum("toxic").alias("toxic"), F.sum("clean").alias("clean")).collect()
+    seen = np.zeros((2, HARM_BINS + 1))
+    for r in found:
+        seen[:, r["bin"]] = r["toxic"], r["clean"]
+    (toxic, clean), (n_toxic, n_clean) = seen[:, :HARM_BINS], seen[:, HARM_BINS]
+    if not n_toxic or not n_clean:
+        return None
+    chosen = (toxic >= 2) & ((toxic + 0.5) / (n_toxic + 1) > 2 * (clean + 0.5) / (n_clean + 1))
+    rows = sorted((r["toxic"], bytes(r["idx"]), bytes(r["val"])) for r in texts.mapInArrow(harm_rows(chosen), "toxic boolean, idx binary, val binary").collect())
+    return fit_scorer([(np.frombuffer(i, np.int32), np.frombuffer(v, np.float32), []) for _, i, v in rows], np.array([float(t) for t, _, _ in rows]), bins=HARM_BINS)
+
+
+def scorer(weights: np.ndarray, harmful: np.ndarray | None):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        facts = Tokens(lexicon, weights)
+        facts = Tokens(frozenset(ABUSE), weights, harmful)
         dense = weights[BINS:]
         for batch in batches:
             score, toxic, seen = [], [], []
@@ -241,6 +292,9 @@ def scorer(weights: np.ndarray, lexicon: frozenset[str]):
                 x, bad = signals(ws, at, facts)
                 z = float(facts.worth[at].sum()) / max(1, len(ws)) + float(np.dot(dense, (*x, 1.0)))
                 score.append(1 / (1 + math.exp(-min(30.0, max(-30.0, z)))) if ws else 0.0)
+                if harmful is not None and not bad and ws:
+                    harm, n = facts.harm[at].sum(axis=0)
+                    bad = bool(harm * harm_scale(n) + harmful[HARM_BINS] > 0)
                 toxic.append(bad)
                 seen.append(",".join(map(str, votes(x, len(ws)))))
             yield pa.RecordBatch.from_arrays([batch.column("row"), pa.array(score, pa.float64()), pa.array(toxic, pa.bool_()), pa.array(seen, pa.string())], ["row", "quality", "toxic", "votes"])
@@ -256,8 +310,8 @@ def classify(docs: DataFrame, labels: DataFrame | None = None, model: dict | Non
     listed words are toxic.
     """
     model = model or train(docs, text_col)
-    lexicon = toxic_words(docs, labels, text_col=text_col) if labels is not None else frozenset(ABUSE)
+    harmful = fit_toxic(docs, labels, text_col=text_col) if labels is not None else None
     rows = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"), F.col(text_col).alias("text"))
     kind = rows.schema["row"].dataType.simpleString()
-    out = rows.mapInArrow(scorer(model["weights"], lexicon), f"row {kind}, quality double, toxic boolean, votes string")
+    out = rows.mapInArrow(scorer(model["weights"], harmful), f"row {kind}, quality double, toxic boolean, votes string")
     return out.withColumn("keep", (F.col("quality") >= least) & ~F.col("toxic"))

@@ -211,6 +211,17 @@ def test_classifier_on_held_out_labels(spark):
     assert clean.keep.mean() > 0.98 and not rated[rated.x == 0].toxic.any()
 
 
+def test_toxic_scorer_finds_held_out_documents_of_every_language(spark):
+    d = SF.replace("0.001", "0.1")
+    docs = table(spark, d, "documents").join(table(spark, d, "labels").where("toxic is not null").select("doc_id", "toxic"), "doc_id").withColumn("held", F.pmod(F.xxhash64("text"), F.lit(4)) == 0)
+    fitted = docs.where("not held").select("doc_id", "toxic")
+    blank = {"weights": np.zeros(quality.BINS + len(quality.SIGNALS) + 1)}
+    rated = quality.classify(docs.select("doc_id", "text", "lang", "held", F.col("toxic").alias("y")), fitted, blank).where("row.held").select("row.lang", "row.y", "toxic").toPandas()
+    recall = rated[rated.y == 1].groupby("lang").toxic.mean().to_dict()
+    assert set(recall) == {"de", "en", "es", "fr"} and min(recall.values()) >= 0.8, recall
+    assert rated[rated.y == 0].toxic.mean() < 0.01
+
+
 def test_pipeline_end_to_end(spark):
     import corpus_pipeline
 
