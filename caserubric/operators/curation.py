@@ -20,11 +20,11 @@ def said_by(messages: Column, role: str) -> Column:
     return F.filter(messages, lambda m: m["role"] == role)
 
 
-def screen(threads: DataFrame, max_advice: int = 6) -> DataFrame:
+def screen(threads: DataFrame, max_advice: int | None = None) -> DataFrame:
     """thread_id, facts, query, advice, thread_text, forwarded; everything is narrow.
 
     The query is the first question of the patient, else the first sentence of their last turn before the last reply; its
-    sentence is not a fact. Advice is cut to the first max_advice sentences.
+    sentence is not a fact. Advice is all sentences of the replies, or the first max_advice if that is given.
     """
     user, reply = said_by(F.col("messages"), "user"), said_by(F.col("messages"), "assistant")
     asked = F.filter(F.transform(user, lambda m: F.regexp_extract(m["text"], r"([^.!?？\n]*[?？])", 1)), lambda q: q != "")
@@ -32,11 +32,12 @@ def screen(threads: DataFrame, max_advice: int = 6) -> DataFrame:
     before = F.filter(user, lambda m: m["turn"] < F.col("last_reply"))
     last = F.element_at(F.slice(before, F.greatest(F.size(before), F.lit(1)), F.lit(1)), 1)
     fallback = F.when(F.size(before) > 0, F.get(X.sentences(last["text"]), F.lit(0)))
+    said = F.array_distinct(F.flatten(F.transform(reply, lambda m: X.sentences(m["text"]))))
     base = X.fixed(
         threads,
         query=F.coalesce(F.get(asked, F.lit(0)), fallback),
         all_facts=F.array_distinct(F.flatten(F.transform(user, lambda m: X.sentences(m["text"])))),
-        advice=F.slice(F.array_distinct(F.flatten(F.transform(reply, lambda m: X.sentences(m["text"])))), 1, max_advice),
+        advice=said if max_advice is None else F.slice(said, 1, max_advice),
         thread_text=F.array_join(F.transform("messages", lambda m: m["text"]), "\n"),
     ).drop("messages", "last_reply")
     out = base.withColumn("facts", F.filter("all_facts", lambda s: ~s.eqNullSafe(F.col("query")))).drop("all_facts")

@@ -21,10 +21,11 @@ def dominant_theme(advice: Column, themes: int = 5) -> Column:
     return out
 
 
-def facts_for_theme(advice: Column, theme: Column, themes: int = 5, cap: int = 19) -> Column:
-    """Advice with a token of the theme, up to cap sentences; all of it where none has."""
+def facts_for_theme(advice: Column, theme: Column, themes: int = 5, cap: int | None = None) -> Column:
+    """Advice with a token of the theme, up to cap sentences if that is given; all of it where none has."""
     own = F.filter(advice, lambda s: F.exists(X.content(s), lambda t: F.length(t) % themes == theme))
-    return F.slice(F.when(F.size(own) > 0, own).otherwise(advice), 1, cap)
+    facts = F.when(F.size(own) > 0, own).otherwise(advice)
+    return facts if cap is None else F.slice(facts, 1, cap)
 
 
 def assign_axis(text: Column) -> Column:

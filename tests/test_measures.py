@@ -10,6 +10,7 @@ from caserubric.operators import analysis as A
 from caserubric.operators import collection as C
 from caserubric.operators import curation as U
 from caserubric.operators import grading as G
+from caserubric.operators import rubric as R
 from caserubric.plans.cost import grader_calls
 from caserubric.plans.oracles import ORACLES
 from caserubric.plans.queries import QUERIES
@@ -88,6 +89,16 @@ def test_empty_thread_parts_are_not_forwarded_and_fabrication_is_found(spark):
     assert {r.thread_id: r.supported for r in U.audit(U.inject_fabrication(s)).collect()} == {0: False, 1: True}
 
 
+def test_advice_from_the_seventh_sentence_on_is_judged_and_graded(spark):
+    advice = [f"Advice{n} keeps patients{n} healthy{n}" for n in range(25)]
+    rows = [(1, 0, "user", "Severe headache since Monday. Also fever today."), (1, 1, "assistant", ". ".join(advice[:10])), (1, 2, "user", "What helps against fever?"), (1, 3, "assistant", ". ".join(advice[10:]))]
+    s = U.screen(U.assemble_threads(spark.createDataFrame(rows, "thread_id long, turn long, role string, text string")))
+    assert one(s).advice == advice
+    assert R.build_rubric(s).where("polarity = 1").count() == 25
+    book = spark.createDataFrame([(7, advice[24], 1), (8, advice[0], 0)], "doc_id long, text string, toxic int")
+    assert one(U.validate(s, book)).vetoed
+
+
 def test_rouge_l_and_bleu(spark):
     p = spark.createDataFrame([("same", "a b c d e", "a b c d e"), ("half", "a x c y", "a b c d"), ("none", "", "a b")], "id string, candidate string, reference string")
     assert {r.id: r.f for r in G.rouge_l(p).collect()} == {"same": 1.0, "half": 0.5, "none": 0.0}
