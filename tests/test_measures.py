@@ -122,6 +122,17 @@ def test_case_scores_need_one_exchange_on_the_case(spark):
     assert plan.count("hashpartitioning(case_id") + plan.count("hashpartitioning(l_orderkey") <= 2
 
 
+def test_pairs_and_alignment_take_all_models(spark, monkeypatch):
+    rows = QUERIES["pairwise_wins"](spark, SF).collect()
+    assert len({(r.a, r.b) for r in rows}) == len(rows) == 38 * 37 // 2
+    judged = spark.createDataFrame([(m, c, 1, 1, m == 37) for m in (3, 37) for c in range(11)], "model_id int, case_id long, criterion_no int, weight int, met boolean")
+    monkeypatch.setitem(QUERIES["grader_alignment"].__globals__, "star_judged", lambda spark, d: judged)
+    assert all(0 < r.macro_f1 for r in QUERIES["grader_alignment"](spark, SF).collect())
+    met = {r.pair: r.macro_f1 for r in QUERIES["grader_alignment"](spark, SF).collect()}
+    # 22 judgements, 11 of each kind, and each physician flips one of either kind: 10 of 11 right in both classes
+    assert met["grader 1"] == met["grader 2"] == pytest.approx(10 / 11, abs=1e-6)
+
+
 def test_every_oracle_has_a_query_and_the_flagship_runs(spark):
     assert set(ORACLES) <= set(QUERIES)
     rows = QUERIES["leaderboard"](spark, SF).collect()
