@@ -107,8 +107,8 @@ def drop_indexed(posts: DataFrame, index: DataFrame, key: str, text: str) -> Dat
 def near_pairs(df: DataFrame, key: str, text: str, threshold: float = 0.8, width: int = 5, bands: int = 16, rows: int = 4) -> DataFrame:
     """(a, b, jaccard) of texts at or above the threshold, candidates by min-hash bands, verified on the shingle sets.
 
-    Equal texts are joined first, so a group of copies is one row; a band that many different texts share is
-    compared with its smallest member only in the first round and again by the other bands.
+    Equal texts are joined first, so a group of copies is one row under its smallest key; copy_pairs gives the others. All
+    pairs of a band are compared, so the work grows with the square of the texts that share one.
     """
     toks = X.tokens(text)
     grams = F.array_distinct(F.when(F.size(toks) >= width, X.ngrams(toks, width)).otherwise(F.array(F.array_join(toks, " "))))
@@ -124,6 +124,13 @@ def near_pairs(df: DataFrame, key: str, text: str, threshold: float = 0.8, width
     return both.select("a", "b", (inter / (F.size("sa") + F.size("sb") - inter)).alias("jaccard")).where(F.col("jaccard") >= threshold)
 
 
+def copy_pairs(df: DataFrame, key: str, text: str) -> DataFrame:
+    """(a, b, jaccard 1): each further key of a text beside the smallest key of that text, which stands for it in near_pairs."""
+    first = df.groupBy(F.col(text).alias("_t")).agg(F.min(key).alias("a"), F.count(F.lit(1)).alias("n")).where("n > 1")
+    named = df.select(F.col(key).alias("b"), F.col(text).alias("_u")).join(first, F.col("_u").eqNullSafe(F.col("_t")))
+    return named.where("b > a").select("a", "b", F.lit(1.0).alias("jaccard")).distinct()
+
+
 def harvest_week(posts: DataFrame, week_start: str, ts: str = "posted_at") -> DataFrame:
     lo = F.lit(week_start).cast("timestamp")
     return posts.where((F.col(ts) >= lo) & (F.col(ts) < lo + F.expr("INTERVAL 7 DAYS"))).withColumn("harvest_week", F.lit(week_start).cast("date"))

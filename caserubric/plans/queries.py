@@ -149,7 +149,9 @@ def dedup_index_anti(spark, d):
 
 @query
 def dedup_near(spark, d):
-    return C.near_pairs(load(spark, d, "documents"), "doc_id", "text").select("a", "b", F.round("jaccard", 6).alias("jaccard"))
+    """Near pairs of distinct texts, named by their smallest ids, and each exact copy beside the smallest id of its text."""
+    docs = load(spark, d, "documents")
+    return C.near_pairs(docs, "doc_id", "text").union(C.copy_pairs(docs, "doc_id", "text")).select("a", "b", F.round("jaccard", 6).alias("jaccard"))
 
 
 # --- curation -------------------------------------------------------------------------------------------------------

@@ -148,6 +148,16 @@ def test_near_pairs_against_brute_force(spark):
     assert got == {(0, 1): round(len(sets[0] & sets[1]) / len(sets[0] | sets[1]), 4)}
 
 
+def test_dedup_near_names_every_exact_copy(spark):
+    docs = spark.read.parquet(f"{SF}/documents.parquet").select("doc_id", "text").toPandas()
+    first = docs.groupby("text", dropna=False).doc_id.transform("min")
+    copies = set(zip(first[first < docs.doc_id], docs.doc_id[first < docs.doc_id]))
+    got = {(r.a, r.b) for r in QUERIES["dedup_near"](spark, SF).collect() if r.jaccard == 1}
+    assert copies and copies <= got
+    odd = spark.createDataFrame([(3, "x"), (1, "x"), (1, "x"), (5, None), (4, None), (7, "y")], "doc_id long, text string")
+    assert {tuple(r) for r in C.copy_pairs(odd, "doc_id", "text").collect()} == {(1, 3, 1.0), (4, 5, 1.0)}
+
+
 def test_ann_recall(spark):
     r = one(QUERIES["ann_recall"](spark, SF))
     assert r.wanted == 250 and r.recall >= 0.9
