@@ -67,7 +67,11 @@ def candidates(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for path, content in zip(batch.column("path"), batch.column("content"), strict=True):
             path, data, rows = path.as_py(), content.as_py(), []
             for m in MAGIC.finditer(data):
-                at, end = m.start(), data.find(b"\r\n\r\n", m.start(), m.start() + 65536)
+                at = m.start()
+                # A record follows the end of another, so headers searched to their own end never overlap.
+                if at and data[at - 4 : at] != b"\r\n\r\n":
+                    continue
+                end = data.find(b"\r\n\r\n", at)
                 fields = {k.strip().lower(): v.strip() for k, _, v in (x.partition(b":") for x in data[m.end() : end].split(b"\r\n"))} if end >= 0 else {}
                 length = fields.get(b"content-length", b"")
                 if not length.isdigit() or data[end + 4 + int(length) : end + 8 + int(length)] != b"\r\n\r\n":
@@ -107,14 +111,19 @@ def reachable(links: DataFrame) -> DataFrame:
 def read_warc(spark: SparkSession, path: str, payloads: bool = True) -> DataFrame:
     """One row per record that its file's chain reaches: path, at, page_id, record_type, refers_to, url, payload_bytes, payload_digest, stated_digest, payload.
 
-    payload is null for revisits; their digest and length come from the header. A broken chain ends its file; an empty
-    folder gives no rows. Files are read whole, so writers bound them (records_per_file).
+    payload is null for revisits; their digest and length come from the header. A chain that doesn't end where its file
+    does raises an error; an empty folder gives no rows. Files are read whole, so writers bound them (records_per_file).
     """
     files = spark.read.format("binaryFile").option("pathGlobFilter", "*.txt").load(path).select("path", "content")
     found = files.mapInArrow(candidates, SPARK_SCHEMA)
     if not payloads:
         found = publish(found.drop("payload"), "records")
     keep = reachable(found.select("path", "at", "next"))
+    ends = found.select("path", "at", "next").join(keep, ["path", "at"]).groupBy("path").agg(F.max("next").alias("end"))
+    sizes = spark.read.format("binaryFile").option("pathGlobFilter", "*.txt").load(path).select("path", "length").where("length > 0")
+    broken = sizes.join(ends, "path", "left").where("end is null or end <> length").first()
+    if broken:
+        raise ValueError(f"{broken['path']}: records end at {broken['end'] or 0} of {broken['length']} bytes")
     return found.join(keep, ["path", "at"], "left_semi")
 
 

@@ -117,6 +117,16 @@ def test_best_fit_takes_the_tightest_compatible_bin():
     assert packing.best_fit([6, 5, 4], [1, 2, 4], [1, 2, 3], 10) == [0, 1, 2]
 
 
+def test_warc_long_urls_and_broken_chains(spark, tmp_path):
+    rows = [(k, "data:text/plain," + "x" * (200_000 if k == 1 else 9), f"page {k} " * 50) for k in range(4)]
+    pages = spark.createDataFrame(rows, "page_id long, url string, html string").coalesce(1)
+    assert sorted(r.page_id for r in warc_round_trip(pages).collect()) == [0, 1, 2, 3]
+    good = b"WARC/1.1\r\nWARC-Type: response\r\nContent-Length: 2\r\n\r\nab\r\n\r\n"
+    (tmp_path / "a.txt").write_bytes(good + good[:-9])
+    with pytest.raises(ValueError, match=f"end at {len(good)} of"):
+        read_warc(spark, str(tmp_path), payloads=False)
+
+
 def test_warc_rejects_magic_in_payloads(spark, tmp_path):
     bait = "x\r\n\r\nWARC/1.1\r\nWARC-Type: response\r\nContent-Length: 1\r\n\r\ny\r\n\r\nWARC/1.1\r\n" + "z" * 200
     pages = spark.createDataFrame([(5, "u", bait), (3, "u", bait), (9, "u", "short"), (8, "u", "short"), (1, "u", None)], "page_id long, url string, html string")
