@@ -59,13 +59,21 @@ KNOWN = {pieces(s)[0]: k for k, s in SENTENCES.items()}
 assert all(len(pieces(s)) == 1 for s in SENTENCES.values())
 
 
+#: A known sentence between ends of sentences or lines, its words parted by blanks or line breaks; longer ones are tried first.
+FOUND = r"(?<![^\n\r])(?:" + "|".join(k.replace(" ", "[ \\n]") for k in sorted(KNOWN, key=len, reverse=True)) + r")(?![^\n\r])"
+
+
 def sentence_ids(text: Column) -> Column:
-    """Identifiers of the known sentences of a text, in order of appearance; unknown sentences are passed over."""
-    lines = F.regexp_replace(F.lower(F.coalesce(text, F.lit(""))), r"([.!?])[ \t]+", "$1\n")
-    plain = F.split(F.regexp_replace(lines, r"[^\p{L}\p{N}\n\r]+", " "), r"[\r\n]+", -1)
+    """Identifiers of the known sentences of a text, wrapped or not, in order of appearance; unknown sentences are passed over.
+
+    Line breaks become \\n and may part the words of a sentence; ends of sentences become \\r and may not.
+    """
+    lines = F.regexp_replace(F.lower(F.coalesce(text, F.lit(""))), r"[\r\n]+", "\n")
+    ended = F.regexp_replace(lines, r"([.!?])[ \t]+", "$1\r")
+    plain = F.regexp_replace(F.regexp_replace(ended, r"[^\p{L}\p{N}\n\r]+", " "), r" *\r[ \n\r]*", "\r")
+    tidy = F.trim(F.regexp_replace(plain, r" *\n[ \n]*", "\n"))
     table = F.create_map(*[F.lit(x) for pair in KNOWN.items() for x in pair])
-    likely = F.filter(F.transform(plain, lambda s: F.trim(s)), lambda s: s.isin(*KNOWN))
-    return F.transform(likely, lambda s: F.element_at(table, s))
+    return F.transform(F.regexp_extract_all(tidy, F.lit(FOUND), F.lit(0)), lambda s: F.element_at(table, F.translate(s, "\n", " ")))
 
 
 def license_scan(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:

@@ -213,6 +213,25 @@ def test_licence_rules_in_order(spark):
     assert got == {1: ("MIT", "permissive"), 2: ("MIT (line),CC-BY-NC-4.0 (line)", "noncommercial,permissive"), 3: ("BSD-2-Clause", "permissive"), 4: ("", "")}
 
 
+def test_wrapped_licence_notices(spark):
+    import textwrap
+
+    wrapped = lambda ids, mark="": "\n".join(textwrap.wrap(" ".join(SENTENCES[i] for i in ids), 70, initial_indent=mark, subsequent_indent=mark))
+    apache = wrapped(["apache-head"], " * ") + "\n * You may obtain a copy of the License at\n *\n *     http://www.apache.org/licenses/LICENSE-2.0\n"
+    rows = [(1, wrapped(["mit-grant"], "# ") + "\n\n" + wrapped(["mit-notice"], "# ")), (2, apache), (3, wrapped(["gpl-free", "gpl-hope"])), (4, "Licensed under CC BY. 4.0")]
+    got = {r.doc_id: r.licenses for r in license_scan(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert got == {1: "MIT", 2: "Apache-2.0", 3: "GPL-3.0-or-later", 4: ""}
+
+
+def test_given_tables_agree_with_the_licence_sql(spark):
+    import duckdb
+
+    docs = duckdb.connect()
+    docs.sql(f"create view documents as from '{SF}/documents.parquet'")
+    got = queries.op1_license_scan(spark, SF)
+    assert sorted(map(tuple, got.collect())) == sorted(docs.sql(f"select {', '.join(got.columns)} from ({queries.ORACLES['op1_license_scan']})").fetchall())
+
+
 def test_classifier_on_held_out_labels(spark):
     d = SF.replace("0.001", "0.01")
     rated = queries.op6_quality(spark, d).join(table(spark, d, "labels").withColumnRenamed("quality", "y").withColumnRenamed("toxic", "x"), "doc_id").toPandas()
