@@ -41,6 +41,22 @@ def publish(df: DataFrame, label: str = "table") -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def join_facts(rows: DataFrame, facts: DataFrame, key: str, spread: list[str], share: int = 1000) -> DataFrame:
+    """rows left-joined with facts, one row a key whose column n counts the key's rows; n is dropped.
+
+    Any key may hold most of the rows. Keys with one row in `share` or more are `share` at most, whatever the data, so their
+    facts are broadcast; their rows, and those of a null key, are spread by the columns `spread` for the join of the others.
+    """
+    total = facts.agg(F.sum("n")).first()[0] or 0
+    names = [c for c in facts.columns if c not in (key, "n")]
+    hot = facts.where(F.col("n") * share >= total).select(F.col(key).alias("_hot"), F.struct(*names).alias("_hot_facts"))
+    rest = facts.where(F.col("n") * share < total).select(F.col(key).alias("_key"), F.struct(*names).alias("_facts"), F.lit(0).cast("long").alias("_place"))
+    out = rows.join(F.broadcast(hot), F.col(key) == F.col("_hot"), "left")
+    out = out.withColumn("_salt", F.when(F.col("_hot").isNotNull() | F.col(key).isNull(), 1 + F.pmod(F.xxhash64(*spread), F.lit(1024))).otherwise(F.lit(0)).cast("long"))
+    out = out.join(rest, (F.col(key) == F.col("_key")) & (F.col("_salt") == F.col("_place")), "left")
+    return out.select(*[F.col(c) for c in rows.columns], *[F.coalesce(F.col(f"_hot_facts.{c}"), F.col(f"_facts.{c}")).alias(c) for c in names])
+
+
 def components(edges: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
     """(id, component) of every id in edges; component is the smallest id reachable.
 

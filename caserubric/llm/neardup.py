@@ -9,11 +9,12 @@ then exactly.
 
 Equal sets are one class, and only classes are joined. Buckets first give stars only; classes that verified stars
 connect need no further comparison, and just pairs of a bucket that are still in different components are tried.
+
+Whole texts are cut into shingles once; only the classes of candidate pairs are cut again, for the exact check.
 """
 
 from __future__ import annotations
 
-import re
 from collections.abc import Iterator
 from dataclasses import dataclass
 from functools import cached_property
@@ -21,15 +22,13 @@ from functools import cached_property
 import numpy as np
 import pandas as pd
 import pyarrow as pa
+import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import WORD, components, publish
-from .repeats import WordCodes, hashed_runs
+from .common import components, join_facts, publish
+from .repeats import hashed_runs
 
-FIND = re.compile(WORD).findall
-#: A-Z to a-z only
-LOWER = {k: k + 32 for k in range(65, 91)}
 SKETCH_WORDS = 16  # of 64 bits
 
 
@@ -66,9 +65,22 @@ def mixed(x: np.ndarray, salt: int) -> np.ndarray:
     return x ^ (x >> np.uint64(33))
 
 
-def shingles(text: str | None, codes: WordCodes, width: int) -> np.ndarray:
-    """Sorted distinct 64-bit hashes of the word runs; the whole sequence as one if it is shorter."""
-    ws = FIND((text or "").translate(LOWER)) if text else []
+class ByteCodes(dict):
+    """64-bit hash of a word in UTF-8, remembered for up to a million words."""
+
+    def __missing__(self, word: bytes) -> int:
+        if len(self) > 1_000_000:
+            self.clear()
+        code = self[word] = xxhash.xxh64_intdigest(word)
+        return code
+
+
+def shingles(raw: bytes, codes: ByteCodes, width: int) -> np.ndarray:
+    """Sorted distinct 64-bit hashes of the word runs of a UTF-8 text; the whole sequence as one if it is shorter.
+
+    Methods of bytes know ASCII only: lower() changes A-Z, and split() cuts at 0x20 and 0x09 to 0x0D.
+    """
+    ws = raw.lower().split()
     if not ws:
         return np.empty(0, np.uint64)
     c = np.fromiter(map(codes.__getitem__, ws), np.uint64, len(ws))
@@ -76,27 +88,26 @@ def shingles(text: str | None, codes: WordCodes, width: int) -> np.ndarray:
     return np.unique(hashed_runs(c, min(width, len(ws))) ^ np.uint64(len(ws) if short else 0))
 
 
-def set_name(s: np.ndarray) -> int:
-    """64-bit name of a set of shingles."""
-    both = np.array([np.bitwise_xor.reduce(mixed(s, 0x51ED)), np.add.reduce(mixed(s, 0xA5A5))])
-    both[1:] *= np.uint64(0x9E3779B97F4A7C15)
-    return int((both[0] ^ both[1]).astype(np.int64))
+def set_name(value: np.ndarray) -> tuple[int, int]:
+    """128-bit name of a set, from the mixed values of its shingles."""
+    both = np.array([np.bitwise_xor.reduce(value), np.add.reduce(value)])
+    return tuple(mixed(both, 0x51ED + len(value)).astype(np.int64).tolist())
 
 
-def parity_bits(s: np.ndarray) -> np.ndarray:
-    bit = mixed(s, 0xB17) >> np.uint64(54)
-    odd = (np.bincount(bit.astype(np.int64), minlength=64 * SKETCH_WORDS) & 1).astype(np.uint8)
+def parity_bits(value: np.ndarray) -> np.ndarray:
+    odd = (np.bincount((value >> np.uint64(54)).astype(np.int64), minlength=64 * SKETCH_WORDS) & 1).astype(np.uint8)
     return np.packbits(odd, bitorder="little").view(np.int64)
 
 
-def segment_keys(s: np.ndarray, rule: Overlap) -> np.ndarray:
-    """Join keys of one set, for its own band and for the band below.
+def segment_keys(s: np.ndarray, value: np.ndarray, rule: Overlap) -> np.ndarray:
+    """Join keys of one sorted set and its mixed values, for its own band and for the band below.
 
-    Segments of at most `thin` shingles carry no key when there are fewer of them than segments that any linked pair
-    shares; a shared segment has equal shingles on both sides, so the pair still meets in another one.
+    Segments are ranges of the shingles' hashes. Those of at most one shingle carry no key when there are fewer of them
+    than segments that any linked pair shares; a shared segment has equal shingles on both sides, so the pair still meets
+    in another one.
     """
     band = int(np.searchsorted(rule.tops, len(s)))
-    own, value = mixed(s, 0x5E6), mixed(s, 0x7A1)
+    high = s >> np.uint64(32)
     out = []
     for b in (band, band - 1):
         if b < 0:
@@ -104,11 +115,9 @@ def segment_keys(s: np.ndarray, rule: Overlap) -> np.ndarray:
         g, d = rule.segments(b)
         if not d:
             continue  # only equal sets can be linked there
-        seg = ((own >> np.uint64(32)) * np.uint64(g)) >> np.uint64(32)
-        order = np.argsort(seg, kind="stable")
-        seg, val = seg[order], value[order]
+        seg = (high * np.uint64(g)) >> np.uint64(32)
         first = np.flatnonzero(np.concatenate(([True], seg[1:] != seg[:-1])))
-        xor, count, name = np.bitwise_xor.reduceat(val, first), np.diff(np.append(first, len(seg))), seg[first]
+        xor, count, name = np.bitwise_xor.reduceat(value, first), np.diff(np.append(first, len(seg))), seg[first]
         empty, single = g - len(name), int((count == 1).sum())
         if empty + single < g - d:
             xor, name = xor[count > 1], name[count > 1]
@@ -119,39 +128,38 @@ def segment_keys(s: np.ndarray, rule: Overlap) -> np.ndarray:
     return np.concatenate(out).view(np.int64) if out else np.empty(0, np.int64)
 
 
-def describe(rule: Overlap):
-    """(k1, text) to (k1, name, n, bits): name is null and bits empty for a document without words."""
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        codes = WordCodes()
-        for batch in batches:
-            names, sizes, bits = [], [], []
-            for text in batch.column("text").to_pylist():
-                s = shingles(text, codes, rule.width)
-                names.append(set_name(s) if len(s) else None)
-                sizes.append(len(s))
-                bits.append(parity_bits(s) if len(s) else [])
-            yield pa.RecordBatch.from_arrays([batch.column("row"), batch.column("k1"), pa.array(names, pa.int64()), pa.array(sizes, pa.int64()), pa.array(bits, pa.list_(pa.int64()))], ["row", "k1", "name", "n", "bits"])
+DESCRIBED = "k1 long, k2 long, name long, tag long, n long, bits array<bigint>, keys array<bigint>"
 
-    return run
 
+def describe(rule: Overlap):
+    """(row, k1, k2, text) to (row, k1, k2, name, tag, n, bits, keys), in one pass over the texts.
 
-def keys_of(rule: Overlap):
-    """text to (name, keys), one row for each class that a task meets first; exact copies leave a task once."""
+    name is null and bits and keys are empty for a document without words. Keys come with the document that a task meets
+    first of a class, so exact copies leave a task once.
+    """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        codes, met = WordCodes(), set()
+        codes, met = ByteCodes(), set()
+        none = np.empty(0, np.int64)
         for batch in batches:
-            names, keys = [], []
-            for text in batch.column("text").to_pylist():
-                s = shingles(text, codes, rule.width)
-                if not len(s) or (name := set_name(s)) in met:
+            names, tags, sizes, bits, keys = [], [], [], [], []
+            for text in batch.column("text").cast(pa.binary()):
+                s = shingles(text.as_py(), codes, rule.width)
+                value = mixed(s, 0x7A1)
+                name = set_name(value) if len(s) else (None, None)
+                names.append(name[0])
+                tags.append(name[1])
+                sizes.append(len(s))
+                bits.append(parity_bits(value) if len(s) else none)
+                if not len(s) or name in met:
+                    keys.append(none)
                     continue
                 if len(met) < 1_000_000:
                     met.add(name)
-                names.append(name)
-                keys.append(segment_keys(s, rule))
-            yield pa.RecordBatch.from_arrays([pa.array(names, pa.int64()), pa.array(keys, pa.list_(pa.int64()))], ["name", "keys"])
+                keys.append(segment_keys(s, value, rule))
+            longs = lambda x: pa.array(x, pa.int64())
+            lists = lambda x: pa.array(x, pa.list_(pa.int64()))
+            yield pa.RecordBatch.from_arrays([batch.column("row"), batch.column("k1"), batch.column("k2"), longs(names), longs(tags), longs(sizes), lists(bits), lists(keys)], ["row", "k1", "k2", "name", "tag", "n", "bits", "keys"])
 
     return run
 
@@ -236,9 +244,9 @@ def close_pairs(rule: Overlap):
 
 def sets_of(rule: Overlap):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        codes = WordCodes()
+        codes = ByteCodes()
         for batch in batches:
-            sets = [shingles(x, codes, rule.width) for x in batch.column("text").to_pylist()]
+            sets = [shingles(x.as_py(), codes, rule.width) for x in batch.column("text").cast(pa.binary())]
             yield pa.RecordBatch.from_arrays([batch.column("name"), pa.array([s.tobytes() for s in sets], pa.binary())], ["name", "shingles"])
 
     return run
@@ -251,8 +259,8 @@ def verified(pairs: DataFrame, rows: DataFrame, classes: DataFrame, rule: Overla
     far = F.aggregate(F.zip_with("bitsa", "bitsb", lambda x, y: F.bit_count(x.bitwiseXOR(y))), F.lit(0), lambda s, x: s + x)
     near = pairs.join(side("a"), "a").join(side("b"), "b").where((F.least("na", "nb") * rule.den >= F.greatest("na", "nb") * rule.num) & (far <= F.floor((rule.den - rule.num) * (F.col("na") + F.col("nb")) / (rule.den + rule.num))))
     near = publish(near.select("a", "b"), "near")
-    wanted = near.select(F.col("a").alias("name")).union(near.select(F.col("b").alias("name"))).distinct().join(classes.select("name", "k1"), "name")
-    texts = rows.select("k1", "text").join(publish(wanted, "wanted"), "k1").groupBy("name").agg(F.any_value("text").alias("text"))
+    wanted = near.select(F.col("a").alias("name")).union(near.select(F.col("b").alias("name"))).distinct().join(classes.select("name", "key.k1", "key.k2"), "name")
+    texts = rows.select("k1", "k2", "text").join(publish(wanted, "wanted"), ["k1", "k2"]).groupBy("name").agg(F.any_value("text").alias("text"))
     sets = publish(texts.mapInArrow(sets_of(rule), "name long, shingles binary"), "sets")
 
     @F.pandas_udf("boolean")
@@ -275,16 +283,20 @@ def near_duplicates(docs: DataFrame, rule: Overlap = Overlap(), id_col: str = "d
     shingle, its whole sequence. Repeated rows and equal texts are one class. A null id never is a component's id
     unless nothing else is in it. Other columns are ignored; no rows give no rows.
 
-    group names the component (null without shingles), key the row by id and text. Sets and shingles are told apart by
-    64-bit hashes.
+    group names the component (null without shingles), k1 and k2 the row by id and text. Sets are told apart by 128-bit
+    hashes, shingles by 64-bit hashes.
     """
-    text = F.coalesce(F.col(text_col), F.lit(""))
-    rows = docs.select(F.col(id_col).alias("row"), F.xxhash64(F.col(id_col), text).alias("k1"), text.alias("text"))
+    rows = keyed_rows(docs, id_col, text_col)
     kind = rows.schema["row"].dataType.simpleString()
-    named = publish(rows.mapInArrow(describe(rule), f"row {kind}, k1 long, name long, n long, bits array<bigint>"), "named")
-    classes = named.where("name is not null").groupBy("name").agg(F.min("k1").alias("k1"), F.min("row").alias("row"), F.first("n").alias("n"), F.first("bits").alias("bits"))
-    classes = publish(classes, "classes")
-    keys = rows.select("text").mapInArrow(keys_of(rule), "name long, keys array<bigint>").select("name", F.explode("keys").alias("key"))
+    named = publish(rows.mapInArrow(describe(rule), f"row {kind}, {DESCRIBED}"), "named")
+    classes = classes_of(named)
+    if classes.where("lo <> hi").limit(1).count():
+        # Two classes share the first 64 bits of their names: all but one of them are renamed by the other 64.
+        first = classes.where("lo <> hi").select("name", "lo")
+        other = F.col("lo").isNotNull() & (F.col("tag") != F.col("lo"))
+        named = publish(named.join(first, "name", "left").withColumn("name", F.when(other, F.xxhash64("name", "tag")).otherwise(F.col("name"))).drop("lo"), "renamed")
+        classes = classes_of(named)
+    keys = named.where(F.size("keys") > 0).select("name", F.explode("keys").alias("key"))
     buckets = keys.repartition("key").sortWithinPartitions("key", "name").select("key", "name").mapInArrow(stars, "key long, name long, leader long")
     buckets = publish(buckets, "buckets")
     tried = buckets.where("name <> leader").select(F.least("name", "leader").alias("a"), F.greatest("name", "leader").alias("b")).distinct()
@@ -295,16 +307,36 @@ def near_duplicates(docs: DataFrame, rule: Overlap = Overlap(), id_col: str = "d
     rest = member.join(open_keys, "key", "left_semi").join(classes.select("name", "n", "bits"), "name").select("key", "name", "root", "n", "bits")
     more = rest.repartition("key").sortWithinPartitions("key", "name").mapInArrow(close_pairs(rule), "a long, b long").distinct()
     links = links.union(verified(more, rows, classes, rule))
-    joined = classes.select("name", "row").join(publish(components(links), "roots").withColumnRenamed("id", "name"), "name", "left").withColumn("component", F.coalesce("component", "name"))
-    least = joined.groupBy("component").agg(F.min("row").alias("component_id"))
-    of = publish(joined.join(least, "component").select("name", "component", "component_id"), "of")
-    return named.join(of, "name", "left").select(F.col("row").alias(id_col), F.col("n").alias("n_shingles"), F.coalesce("component_id", "row").alias("component_id"), F.col("component").alias("group"), F.col("k1").alias("key"))
+    joined = classes.select("name", "row", "copies").join(publish(components(links), "roots").withColumnRenamed("id", "name"), "name", "left").withColumn("component", F.coalesce("component", "name"))
+    joined = publish(joined, "joined")
+    least = joined.groupBy("component").agg(F.min("row").alias("component_id"), F.count(F.lit(1)).alias("n"))
+    of = join_facts(joined, publish(least, "least"), "component", ["name"])
+    of = publish(of.select("name", "component", "component_id", F.col("copies").alias("n")), "of")
+    found = join_facts(named.select("row", "k1", "k2", "name", F.col("n").alias("n_shingles")), of, "name", ["k1", "k2"])
+    return found.select(F.col("row").alias(id_col), "n_shingles", F.coalesce("component_id", "row").alias("component_id"), F.col("component").alias("group"), "k1", "k2")
+
+
+def keyed_rows(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
+    """(row: the id, text, k1, k2); the keys are 128 bits of id and text."""
+    text = F.coalesce(F.col(text_col), F.lit(""))
+    return docs.select(F.col(id_col).alias("row"), F.xxhash64(F.col(id_col), text).alias("k1"), F.xxhash64(text, F.lit(1), F.col(id_col)).alias("k2"), text.alias("text"))
+
+
+def classes_of(named: DataFrame) -> DataFrame:
+    """(name, lo and hi of its tags, key of a member, its smallest id, number of members, n, bits) of each class."""
+    one = named.where("name is not null").groupBy("name")
+    return publish(one.agg(F.min("tag").alias("lo"), F.max("tag").alias("hi"), F.min(F.struct("k1", "k2")).alias("key"), F.min("row").alias("row"), F.count(F.lit(1)).alias("copies"), F.first("n").alias("n"), F.first("bits").alias("bits")), "classes")
 
 
 def one_of_each(docs: DataFrame, rule: Overlap = Overlap(), id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """docs with one row of each component, that of the smallest id; rows without shingles stay. The columns of docs."""
+    """docs with one row of each component, that of the smallest id; rows without shingles stay. The columns of docs.
+
+    Rows of one id and text are one row, whatever their other columns say; those may have any names.
+    """
     found = publish(near_duplicates(docs.select(id_col, text_col), rule, id_col, text_col), "components")
-    first = found.where(F.col("group").isNotNull()).groupBy("group").agg(F.min_by("key", F.struct(F.col(id_col).isNull(), F.col(id_col), F.col("key"))).alias("_key")).select("_key")
-    stay = publish(first.union(found.where(F.col("group").isNull()).select("key")).distinct(), "stay")
-    key = F.xxhash64(F.col(id_col), F.coalesce(F.col(text_col), F.lit("")))
-    return docs.withColumn("_key", key).join(stay, "_key", "left_semi").dropDuplicates(["_key"]).select(*[F.col(f"`{c}`") for c in docs.columns])
+    key = F.struct("k1", "k2")
+    first = found.where(F.col("group").isNotNull()).groupBy("group").agg(F.min_by(key, F.struct(F.col(id_col).isNull(), F.col(id_col), key)).alias("key"))
+    stay = publish(first.select("key.k1", "key.k2").union(found.where(F.col("group").isNull()).select("k1", "k2")).distinct(), "stay")
+    text = F.coalesce(F.col(text_col), F.lit(""))
+    rows = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"), F.xxhash64(F.col(id_col), text).alias("k1"), F.xxhash64(text, F.lit(1), F.col(id_col)).alias("k2"))
+    return rows.join(stay, ["k1", "k2"], "left_semi").dropDuplicates(["k1", "k2"]).select("row.*")
