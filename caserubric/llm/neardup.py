@@ -23,7 +23,7 @@ import numpy as np
 import pandas as pd
 import pyarrow as pa
 import xxhash
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import components, join_facts, publish
@@ -183,28 +183,37 @@ def whole_groups(batches: Iterator[pa.RecordBatch], key: str) -> Iterator[pa.Tab
         yield pa.Table.from_batches(held)
 
 
-def stars(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """(key, name) sorted by both, to (key, name, leader) for buckets of two names or more.
-
-    The leader is drawn by one of four orders, by bucket, so that an outlying class doesn't lead all of a family.
-    """
+def wide_buckets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """(key, name) sorted by both, to (key, name, size) for buckets of two names or more."""
     for t in whole_groups(batches, "key"):
         key, name = (t.column(c).to_numpy() for c in ("key", "name"))
         fresh = np.concatenate(([True], (key[1:] != key[:-1]) | (name[1:] != name[:-1])))
         key, name = key[fresh], name[fresh]
         first = np.flatnonzero(np.concatenate(([True], key[1:] != key[:-1])))
         size = np.diff(np.append(first, len(key)))
-        wide = np.repeat(size > 1, size)
-        key, name, size = key[wide], name[wide], size[size > 1]
-        if not len(key):
-            continue
-        first = np.concatenate(([0], np.cumsum(size)[:-1]))
-        rank = mixed(name.view(np.uint64), 0x1EAD) ^ ((key.view(np.uint64) & np.uint64(3)) << np.uint64(62))
-        low = np.repeat(np.minimum.reduceat(rank, first), size)
-        lead = np.where(rank == low, name, np.iinfo(np.int64).min)
-        leader = np.repeat(np.maximum.reduceat(lead, first), size)
+        size = np.repeat(size, size)
+        out = [x[size > 1] for x in (key, name, size)]
+        for lo in range(0, len(out[0]), 50_000):
+            yield pa.RecordBatch.from_arrays([pa.array(x[lo : lo + 50_000]) for x in out], ["key", "name", "size"])
+
+
+def stars(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """(key, name, met) sorted by key and name, to (key, name, leader, other): two classes with which the others are compared.
+
+    The leader has the largest `met`, the number of classes that it meets in all its buckets: the middle of a family
+    agrees with more of it than its outlying classes do. The other is drawn by one of four orders, by bucket.
+    """
+    for t in whole_groups(batches, "key"):
+        key, name, met = (t.column(c).to_numpy() for c in ("key", "name", "met"))
+        first = np.flatnonzero(np.concatenate(([True], key[1:] != key[:-1])))
+        size = np.diff(np.append(first, len(key)))
+        lot = mixed(name.view(np.uint64), 0x1EAD)
+        leaders = []
+        for rank in ((met.view(np.uint64) << np.uint64(24)) ^ (lot >> np.uint64(40)), lot ^ ((key.view(np.uint64) & np.uint64(3)) << np.uint64(62))):
+            lead = np.where(rank == np.repeat(np.maximum.reduceat(rank, first), size), name, np.iinfo(np.int64).min)
+            leaders.append(np.repeat(np.maximum.reduceat(lead, first), size))
         for lo in range(0, len(key), 50_000):
-            yield pa.RecordBatch.from_arrays([pa.array(x[lo : lo + 50_000]) for x in (key, name, leader)], ["key", "name", "leader"])
+            yield pa.RecordBatch.from_arrays([pa.array(x[lo : lo + 50_000]) for x in (key, name, *leaders)], ["key", "name", "leader", "other"])
 
 
 def close_pairs(rule: Overlap):
@@ -297,9 +306,11 @@ def near_duplicates(docs: DataFrame, rule: Overlap = Overlap(), id_col: str = "d
         named = publish(named.join(first, "name", "left").withColumn("name", F.when(other, F.xxhash64("name", "tag")).otherwise(F.col("name"))).drop("lo"), "renamed")
         classes = classes_of(named)
     keys = named.where(F.size("keys") > 0).select("name", F.explode("keys").alias("key"))
-    buckets = keys.repartition("key").sortWithinPartitions("key", "name").select("key", "name").mapInArrow(stars, "key long, name long, leader long")
-    buckets = publish(buckets, "buckets")
-    tried = buckets.where("name <> leader").select(F.least("name", "leader").alias("a"), F.greatest("name", "leader").alias("b")).distinct()
+    by_key = lambda df: df.repartition("key").sortWithinPartitions("key", "name")
+    wide = by_key(keys).select("key", "name").mapInArrow(wide_buckets, "key long, name long, size long")
+    met = wide.select("key", "name", F.sum("size").over(Window.partitionBy("name")).alias("met"))
+    buckets = publish(by_key(met).mapInArrow(stars, "key long, name long, leader long, other long"), "buckets")
+    tried = buckets.select("name", F.explode(F.array("leader", "other")).alias("with")).where("name <> with").select(F.least("name", "with").alias("a"), F.greatest("name", "with").alias("b")).distinct()
     links = verified(tried, rows, classes, rule)
     root = publish(components(links), "roots")
     member = buckets.select("key", "name").join(root.withColumnRenamed("id", "name"), "name", "left").withColumn("root", F.coalesce("component", "name"))
