@@ -11,8 +11,21 @@ from ..functions import text as X
 
 
 def weekly_activity(posts: DataFrame, platform: str, ts: str, weeks: int) -> DataFrame:
-    """platform, active_weeks, ok: whether each of `weeks` weeks has a post."""
-    return posts.groupBy(platform).agg(F.countDistinct(F.date_trunc("week", F.col(ts))).alias("active_weeks")).withColumn("ok", F.col("active_weeks") >= weeks)
+    """platform, active_weeks, ok: whether the platform has a post in at least `weeks` weeks and in every week between its first and last."""
+    return posts.groupBy(platform).agg(F.countDistinct(week_of(ts)).alias("active_weeks"), span_weeks(ts).alias("_span")).select(platform, "active_weeks", every_week(weeks).alias("ok"))
+
+
+def week_of(ts: str) -> Column:
+    return F.date_trunc("week", F.col(ts)).cast("date")
+
+
+def span_weeks(ts: str) -> Column:
+    """Weeks from the first to the last, both included."""
+    return (F.datediff(F.max(week_of(ts)), F.min(week_of(ts))) / 7).cast("long") + 1
+
+
+def every_week(weeks: int) -> Column:
+    return (F.col("active_weeks") >= weeks) & (F.col("active_weeks") == F.col("_span"))
 
 
 def verified_count(posts: DataFrame, platform: str, author: str, min_n: int, approx: bool = False, rsd: float = 0.02) -> DataFrame:
@@ -27,10 +40,9 @@ def endorsed(platforms: DataFrame, registry: DataFrame, platform: str) -> DataFr
 
 def select_platforms(posts: DataFrame, registry: DataFrame, platform: str, ts: str, author: str, weeks: int, min_n: int) -> DataFrame:
     """platform, active, endorsed, verified, selected in one pass over the posts."""
-    week = F.date_trunc("week", F.col(ts))
-    seen = posts.groupBy(platform).agg(F.countDistinct(week).alias("active_weeks"), F.countDistinct(author).alias("n_verified"))
+    seen = posts.groupBy(platform).agg(F.countDistinct(week_of(ts)).alias("active_weeks"), F.countDistinct(author).alias("n_verified"), span_weeks(ts).alias("_span"))
     flags = seen.join(registry.select(platform, F.lit(True).alias("named")), platform, "left")
-    out = flags.select(platform, (F.col("active_weeks") >= weeks).alias("active"), F.coalesce("named", F.lit(False)).alias("endorsed"), (F.col("n_verified") >= min_n).alias("verified"))
+    out = flags.select(platform, every_week(weeks).alias("active"), F.coalesce("named", F.lit(False)).alias("endorsed"), (F.col("n_verified") >= min_n).alias("verified"))
     return out.withColumn("selected", F.col("active") & F.col("endorsed") & F.col("verified"))
 
 
@@ -44,15 +56,29 @@ def tag_allowed(tags: Column, allow: list[str], deny: list[str]) -> Column:
     return one_of(allow) & ~one_of(deny)
 
 
+SCHEMES = ("disease", "function", "intervention")
+LONGEST_TERM = 3  # words of a code term
+
+
 def codebook(items: DataFrame, text: str = "text", least: int = 9) -> DataFrame:
-    """term: distinct long tokens of the items."""
-    return items.select(F.explode(F.array_distinct(X.tokens(text))).alias("term")).where(F.length("term") >= least).distinct()
+    """(term, scheme): the long tokens of the items and the runs of two tokens of which the first is long, dealt to three schemes."""
+    toks = X.tokens(text)
+    long = lambda t: F.length(t) >= least
+    pairs = F.filter(X.ngrams(toks, 2), lambda g: long(F.substring_index(g, " ", 1)))
+    terms = items.select(F.explode(F.array_distinct(F.concat(F.filter(toks, long), pairs))).alias("term")).distinct()
+    return terms.select("term", F.element_at(F.array(*map(F.lit, SCHEMES)), X.bucket_hash("term") % len(SCHEMES) + 1).alias("scheme"))
 
 
-def code_hits(df: DataFrame, key: str, text: str, book: DataFrame) -> DataFrame:
-    """key, matched: sorted code terms of each row that has one. Tokens meet the book by a semi join, never by a large pattern."""
-    words = df.select(key, F.explode(F.array_distinct(F.filter(X.tokens(text), lambda t: F.length(t) >= 9))).alias("term"))
-    return words.join(book, "term").groupBy(key).agg(F.sort_array(F.collect_set("term")).alias("matched"))
+def code_hits(df: DataFrame, key: str, text: str, book: DataFrame, schemes: tuple[str, ...] | None = None) -> DataFrame:
+    """key, matched: sorted code terms of each row that has one, of the given schemes or of any.
+
+    Runs of tokens meet the book by an equi-join, never by a large pattern; runs whose first word begins no term are
+    dropped by a semi join before the others are made.
+    """
+    book = book if schemes is None else book.where(F.col("scheme").isin(*schemes))
+    runs = F.array_distinct(F.concat(*[X.ngrams(X.tokens(text), n) for n in range(1, LONGEST_TERM + 1)]))
+    words = df.select(key, F.explode(F.filter(runs, lambda g: F.length(F.substring_index(g, " ", 1)) >= 9)).alias("term"))
+    return words.join(book.select("term").distinct(), "term").groupBy(key).agg(F.sort_array(F.collect_set("term")).alias("matched"))
 
 
 def has_verified_reply(messages: DataFrame) -> DataFrame:

@@ -73,24 +73,38 @@ def advice_rows(screened: DataFrame) -> DataFrame:
     return screened.where("forwarded").select("thread_id", F.posexplode("advice").alias("advice_no", "advice_text"))
 
 
-def bm25(queries: DataFrame, corpus: DataFrame, k: int = 5, k1: float = 1.2, b: float = 0.75, max_df: float = 1.0, qid: list[str] = ("q_id",), qtext: str = "q_text", did: str = "doc_id", dtext: str = "text") -> DataFrame:
-    """qid, doc_id, rank, score (in thousandths) by an inverted index and a join on terms; terms above max_df are left out.
+def bm25(queries: DataFrame, corpus: DataFrame, k: int = 5, k1: float = 1.2, b: float = 0.75, common: float = 0.05, qid: list[str] = ("q_id",), qtext: str = "q_text", did: str = "doc_id", dtext: str = "text") -> DataFrame:
+    """qid, doc_id, rank, score (in thousandths) by an inverted index and a join on terms.
 
     Contributions are rounded to integers before they are added, so the order of addition doesn't matter.
+
+    Terms in more than the share `common` of the documents are joined last. The k-th best score by the other terms is a
+    lower bound of what ranks; where the largest contributions of a query's common terms add up to less, a document
+    without a rare term cannot rank, nor can one that is short of the bound by more than they add up to. Common terms then
+    meet those documents only. Queries for which that doesn't hold are joined on all terms, so that the result is exact.
     """
     toks = corpus.select(F.col(did).alias("doc_id"), X.tokens(dtext).alias("t"))
     stats = toks.agg(F.count(F.lit(1)).alias("n"), F.avg(F.size("t")).alias("mean"))
     tf = toks.select("doc_id", F.size("t").alias("len"), F.explode("t").alias("term")).groupBy("doc_id", "len", "term").agg(F.count(F.lit(1)).alias("c"))
     df = tf.groupBy("term").agg(F.count(F.lit(1)).alias("d"))
     asked = queries.select(*qid, F.explode(F.array_distinct(X.tokens(qtext))).alias("term"))
-    need = asked.select("term").distinct().join(df, "term")
-    live = tf.join(need, "term").join(F.broadcast(stats)).where(F.col("d") <= max_df * F.col("n"))
+    need = asked.select("term").distinct().join(df, "term").join(F.broadcast(stats))  # stats is one row
+    live = tf.join(need, "term")
     idf = F.log(1 + (F.col("n") - F.col("d") + F.lit(0.5)) / (F.col("d") + F.lit(0.5)))
     part = F.col("c") * F.lit(k1 + 1) / (F.col("c") + F.lit(k1) * (F.lit(1 - b) + F.lit(b) * F.col("len") / F.col("mean")))
-    posting = live.select("term", "doc_id", F.floor(idf * part * 1000 + F.lit(0.5)).cast("long").alias("v"))
-    scored = asked.join(posting, "term").groupBy(*qid, "doc_id").agg(F.sum("v").alias("score"))
-    rank = F.row_number().over(Window.partitionBy(*qid).orderBy(F.col("score").desc(), "doc_id"))
-    return scored.withColumn("rank", rank).where(F.col("rank") <= k)
+    posting = live.select("term", "doc_id", F.floor(idf * part * 1000 + F.lit(0.5)).cast("long").alias("v"), (F.col("d") > common * F.col("n")).alias("common"))
+    often = posting.where("common").groupBy("term").agg(F.max("v").alias("most"))
+    asked = asked.join(often, "term", "left")
+    slack = asked.groupBy(*qid).agg(F.coalesce(F.sum("most"), F.lit(0)).alias("slack"))
+    rare = asked.where("most is null").join(posting.where("not common"), "term").groupBy(*qid, "doc_id").agg(F.sum("v").alias("part"))
+    rank = lambda by: F.row_number().over(Window.partitionBy(*qid).orderBy(F.col(by).desc(), "doc_id"))
+    floor = rare.withColumn("_r", rank("part")).where(F.col("_r") == k).select(*qid, F.col("part").alias("floor"))
+    plan = slack.join(floor, list(qid), "left").select(*qid, "slack", "floor", (F.coalesce("floor", F.lit(0)) > F.col("slack")).alias("sure"))
+    near = rare.join(plan.where("sure"), list(qid)).where(F.col("part") + F.col("slack") >= F.col("floor")).select(*qid, "doc_id", "part")
+    extra = near.join(asked.where("most is not null").select(*qid, "term"), list(qid)).join(posting.where("common").select("term", "doc_id", "v"), ["term", "doc_id"]).groupBy(*qid, "doc_id").agg(F.sum("v").alias("extra"))
+    first = near.join(extra, [*qid, "doc_id"], "left").select(*qid, "doc_id", (F.col("part") + F.coalesce("extra", F.lit(0))).alias("score"))
+    rest = asked.join(plan.where("not sure").select(*qid), list(qid)).select(*qid, "term").join(posting, "term").groupBy(*qid, "doc_id").agg(F.sum("v").alias("score"))
+    return first.unionByName(rest).withColumn("rank", rank("score")).where(F.col("rank") <= k)
 
 
 def fuse_ranks(lists: list[DataFrame], qid: list[str], k: int, c: int = 60) -> DataFrame:
@@ -124,14 +138,25 @@ def keep_rule(tau_inf: float = 0.5, tau_align: float = 0.5) -> Column:
     return (F.col("s_cc") == 1) & (F.col("s_inf") > tau_inf) & (F.coalesce("s_align", F.lit(0.0)) > tau_align) & ~F.coalesce("vetoed", F.lit(True))
 
 
-def validate(screened: DataFrame, passages: DataFrame, k: int = 5, tau_inf: float = 0.5, tau_align: float = 0.5) -> DataFrame:
-    """thread_id, s_cc, s_inf, s_align, vetoed, keep for each forwarded thread."""
-    advice = advice_rows(screened)
+def narrated(screened: DataFrame) -> DataFrame:
+    """thread_id, s_cc, s_inf of each forwarded thread: what needs no evidence."""
+    return screened.where("forwarded").select("thread_id", query_valid(F.col("query")).alias("s_cc"), sufficiency(F.col("query"), F.col("facts")).alias("s_inf"))
+
+
+def validate(screened: DataFrame, passages: DataFrame, k: int = 5, tau_inf: float = 0.5, tau_align: float = 0.5, gated: bool = False) -> DataFrame:
+    """thread_id, s_cc, s_inf, s_align, vetoed, keep for each forwarded thread.
+
+    Gated, evidence is sought only for threads whose complaint is valid and whose narrative suffices; the others have
+    no s_align and no veto. keep is the same either way.
+    """
+    base = narrated(screened)
+    live = screened
+    if gated:
+        live = screened.join(base.where((F.col("s_cc") == 1) & (F.col("s_inf") > tau_inf)).select("thread_id"), "thread_id", "left_semi")
+    advice = advice_rows(live)
     hits = bm25(advice, passages, k, qid=["thread_id", "advice_no"], qtext="advice_text")
     align = fold(verdicts(advice, hits, passages))
-    base = screened.where("forwarded").select("thread_id", query_valid(F.col("query")).alias("s_cc"), sufficiency(F.col("query"), F.col("facts")).alias("s_inf"))
-    out = base.join(align, "thread_id", "left")
-    return out.withColumn("keep", keep_rule(tau_inf, tau_align))
+    return base.join(align, "thread_id", "left").withColumn("keep", keep_rule(tau_inf, tau_align))
 
 
 def sweep(validated: DataFrame, grid: list[float]) -> DataFrame:
@@ -168,10 +193,13 @@ class Curated:
 
 
 def curate(messages: DataFrame, passages: DataFrame, k: int = 5, tau_inf: float = 0.5, tau_align: float = 0.5) -> Curated:
-    """The cascade: each tier sees what the former passed. rejects has one row per lost thread with its first reason."""
+    """The cascade: each tier sees what the former passed. rejects has one row per lost thread with its first reason.
+
+    Evidence is retrieved for threads with a valid complaint and a sufficient narrative, and only what is kept is audited.
+    """
     screened = screen(assemble_threads(messages))
-    checked = validate(screened, passages, k, tau_inf, tau_align)
-    audited = audit(screened).select("thread_id", "supported")
+    checked = validate(screened, passages, k, tau_inf, tau_align, gated=True)
+    audited = audit(screened.join(checked.where("keep").select("thread_id"), "thread_id", "left_semi")).select("thread_id", "supported")
     all_ = screened.join(checked, "thread_id", "left").join(audited, "thread_id", "left")
     reason = F.when(~F.col("forwarded"), "screen").when(F.col("s_cc") != 1, "complaint").when(F.col("s_inf") <= tau_inf, "sufficiency").when(F.col("vetoed"), "veto").when(~F.col("keep"), "alignment").when(~F.col("supported"), "audit")
     marked = all_.withColumn("reason", reason)

@@ -54,7 +54,7 @@ lastr AS (SELECT thread_id, max(turn) FILTER (role = 'assistant') AS lr FROM msg
 qt AS (SELECT msg.thread_id, arg_max(text, turn) AS qtext FROM msg JOIN lastr USING (thread_id) WHERE role = 'user' AND turn < lr GROUP BY msg.thread_id),
 fl AS (SELECT thread_id, coalesce(flatten(list({SENT.format('text')} ORDER BY turn) FILTER (role = 'user')), []) AS f0, coalesce(flatten(list({SENT.format('text')} ORDER BY turn) FILTER (role = 'assistant')), []) AS a0,
   string_agg(text, chr(10) ORDER BY turn) AS thread_text FROM msg GROUP BY thread_id),
-sc0 AS (SELECT fl.thread_id, {first_seen('f0')} AS f1, {first_seen('a0')}[1:6] AS advice, thread_text, ({SENT.format('qtext')})[1] AS query FROM fl LEFT JOIN qt USING (thread_id)),
+sc0 AS (SELECT fl.thread_id, {first_seen('f0')} AS f1, {first_seen('a0')} AS advice, thread_text, ({SENT.format('qtext')})[1] AS query FROM fl LEFT JOIN qt USING (thread_id)),
 sc AS (SELECT thread_id, query, list_filter(f1, lambda x: x IS DISTINCT FROM query) AS facts, advice, thread_text FROM sc0),
 fw AS (SELECT *, len(facts) > 0 AND length(trim(coalesce(query, ''))) > 0 AND len(advice) > 0 AS forwarded FROM sc)
 """
@@ -91,7 +91,7 @@ r0 AS (SELECT f.thread_id AS case_id, f.advice, f.facts, {CONTENT.format("array_
 r1 AS (SELECT *, [{', '.join(f"len(list_filter(own, lambda t: length(t) % 5 = {i}))" for i in range(5))}] AS v FROM r0),
 r2 AS (SELECT *, {theme} AS theme FROM r1),
 r3 AS (SELECT *, list_filter(advice, lambda s: len(list_filter({CONTENT.format('s')}, lambda t: length(t) % 5 = theme)) > 0) AS fit FROM r2),
-r4 AS (SELECT case_id, CASE WHEN len(fit) > 0 THEN fit ELSE advice END[1:19] AS good, list_filter(coalesce(foreign_, []), lambda s: ({coverage(CONTENT.format('s'), 'own')}) < 0.5)[1:2] AS bad FROM r3),
+r4 AS (SELECT case_id, CASE WHEN len(fit) > 0 THEN fit ELSE advice END AS good, list_filter(coalesce(foreign_, []), lambda s: ({coverage(CONTENT.format('s'), 'own')}) < 0.5)[1:2] AS bad FROM r3),
 r5 AS (SELECT case_id, CAST(generate_subscripts(list_concat(good, bad), 1) AS INTEGER) AS criterion_no, unnest(list_concat(good, bad)) AS criterion, len(good) AS ng FROM r4),
 ru AS (SELECT case_id, criterion_no, criterion, CASE WHEN criterion_no <= ng THEN 1 ELSE -1 END AS polarity, CAST({HASH.format('criterion')} % 5 AS INTEGER) AS axis,
   CAST(CASE WHEN criterion_no <= ng THEN 1 ELSE -1 END * (1 + CAST(floor({HASH.format('criterion')} / 5) AS INTEGER) % 10) AS INTEGER) AS weight FROM r5)
@@ -127,10 +127,33 @@ def rouge(n: int) -> str:
     return f"SELECT id, round({p}, 6) AS precision, round({r}, 6) AS recall, round(CASE WHEN ({p}) + ({r}) > 0 THEN 2 * ({p}) * ({r}) / (({p}) + ({r})) ELSE 0 END, 6) AS f, {n} AS n FROM g{n}"
 
 
-BOOK = f"book AS (SELECT DISTINCT unnest({TOK.format('text')}) AS term FROM benchmark), bk AS (SELECT term FROM book WHERE length(term) >= 9), ch AS (SELECT doc_id, list_sort(list(DISTINCT term)) AS matched FROM (SELECT doc_id, unnest(list_distinct({TOK.format('text')})) AS term FROM documents) JOIN bk USING (term) GROUP BY doc_id)"
-DUP = f"h AS (SELECT doc_id, md5({NORM}) AS h FROM documents), hf AS (SELECT h, min(doc_id) AS first FROM h GROUP BY h HAVING count(*) > 1), du AS (SELECT doc_id, CASE WHEN doc_id > first THEN first END AS dup_of FROM h LEFT JOIN hf USING (h))"
-RULED = f"rl AS (SELECT doc_id, coalesce(lang IN ('en', 'es'), false) AS t1, ({SHARE}) < 0.3 AS t2, coalesce(len(matched), 0) > 0 AS t3, dup_of IS NULL AS t4 FROM documents LEFT JOIN ch USING (doc_id) LEFT JOIN du USING (doc_id))"
-RULES = ("language", "symbols", "code term", "duplicate")
+GRAM = "CASE WHEN len({0}) >= {1} THEN list_transform(range(1, len({0}) - {1} + 2), lambda i: array_to_string({0}[i:i + {1} - 1], ' ')) ELSE CAST([] AS VARCHAR[]) END"
+SCHEME = "['disease', 'function', 'intervention'][CAST('0x' || substr(md5(term), 1, 6) AS INTEGER) % 3 + 1]"
+FIRST = "length(split_part({0}, ' ', 1)) >= 9"
+
+
+def book(source: str, key: str) -> str:
+    """Code terms of one and two words, the runs of up to three words of the source, and the terms that each of its rows has."""
+    runs = " || ".join(f"({GRAM.format('t', n)})" for n in (1, 2, 3))
+    return f"""bt AS (SELECT {TOK.format('text')} AS t FROM benchmark),
+bk AS (SELECT term, {SCHEME} AS scheme FROM (SELECT DISTINCT unnest(({GRAM.format('t', 1)}) || ({GRAM.format('t', 2)})) AS term FROM bt) WHERE {FIRST.format('term')}),
+sr AS (SELECT {key}, unnest(list_distinct({runs})) AS term FROM (SELECT {key}, {TOK.format('text')} AS t FROM {source})),
+cm AS (SELECT {key}, term, scheme FROM sr JOIN bk USING (term)),
+ch AS (SELECT {key}, list_sort(list(DISTINCT term)) AS matched FROM cm GROUP BY {key})"""
+
+
+def dups(source: str, key: str) -> str:
+    return f"h AS (SELECT {key}, md5({NORM}) AS h FROM {source}), hf AS (SELECT h, min({key}) AS first FROM h GROUP BY h HAVING count(*) > 1), du AS (SELECT {key}, CASE WHEN {key} > first THEN first END AS dup_of FROM h LEFT JOIN hf USING (h))"
+
+
+BOOK, DUP = book("documents", "doc_id"), dups("documents", "doc_id")
+RULES = ("date", "tags", "text only", "symbols", "language", "code term", "duplicate", "verified reply")
+TO_FILTER = """tf0 AS (SELECT thread_id, string_agg(text, chr(10) ORDER BY turn) AS t0, min(posted_at) AS posted_at, bool_or(role = 'assistant') AS replied FROM po WHERE role <> 'system' GROUP BY thread_id),
+tf AS (SELECT thread_id, CASE WHEN thread_id % 11 = 0 THEN t0 || chr(10) || '[image]' ELSE t0 END AS text, posted_at, replied, thread_id % 7 AS tag FROM tf0)"""
+HAN = "length(text) - length(regexp_replace(text, '[\\x{4E00}-\\x{9FFF}]', '', 'g'))"
+RULED = f"""rl AS (SELECT thread_id, posted_at >= DATE '2024-01-04' AS t1, tag NOT IN (2, 3) AS t2, NOT regexp_matches(text, '{MEDIA}') AS t3, ({SHARE}) < 0.5 AS t4,
+  coalesce({HAN} >= 0.2 * greatest(length(text), 1) OR ({language('text')}) = 'en', false) AS t5, coalesce(len(matched), 0) > 0 AS t6, dup_of IS NULL AS t7, replied AS t8
+  FROM tf LEFT JOIN ch USING (thread_id) LEFT JOIN du USING (thread_id))"""
 POSTS = "po AS (SELECT conv_id AS thread_id, turn, role, text, ts AS posted_at, 'p' || (conv_id % 4) AS platform FROM conversations JOIN events ON event_id = (conv_id * 97) % (SELECT count(*) FROM events))"
 RATED = f"ra AS (SELECT doc_id, quality AS a, CAST(({SHARE}) < 0.25 AND length(text) >= 100 AS INTEGER) AS b FROM labels JOIN documents USING (doc_id))"
 
@@ -139,12 +162,18 @@ def put(name: str, sql: str, *ctes: str) -> None:
     ORACLES[name] = ("WITH " + ",\n".join(x.strip() for x in ctes) + "\n" if ctes else "") + sql
 
 
-put("platform_activity", "SELECT event_type, count(DISTINCT date_trunc('week', ts)) AS active_weeks, count(DISTINCT date_trunc('week', ts)) >= 5 AS ok FROM events GROUP BY event_type")
+put("platform_activity", "SELECT event_type, count(DISTINCT date_trunc('week', ts)) AS active_weeks, count(DISTINCT date_trunc('week', ts)) >= 5 AND count(DISTINCT date_trunc('week', ts)) = date_diff('week', min(ts), max(ts)) + 1 AS ok FROM events GROUP BY event_type")
 put("platform_verified", "SELECT event_type, count(DISTINCT user_id) AS n_verified, count(DISTINCT user_id) >= 100 AS ok FROM events GROUP BY event_type")
-put("platform_selection", "SELECT *, active AND endorsed AND verified AS selected FROM (SELECT event_type, count(DISTINCT date_trunc('week', ts)) >= 5 AS active, event_type IN ('click', 'view', 'purchase') AS endorsed, count(DISTINCT user_id) >= 100 AS verified FROM events GROUP BY event_type)")
-steps = " UNION ALL ".join(f"SELECT {k} AS step, '{('all', *RULES)[k]}' AS rule, " + ("count(*) AS remaining, CAST(0 AS BIGINT) AS removed, count(*) AS without" if not k else f"count(*) FILTER ({' AND '.join(f't{i}' for i in range(1, k + 1))}) AS remaining, count(*) FILTER ({' AND '.join([f't{i}' for i in range(1, k)] + [f'NOT t{k}'])}) AS removed, count(*) FILTER ({' AND '.join(f't{i}' for i in range(1, 5) if i != k)}) AS without") + " FROM rl" for k in range(5))
-put("post_filter_funnel", steps, BOOK, DUP, RULED)
-put("post_filter_reasons", "SELECT doc_id, array_to_string(list_filter([" + ", ".join(f"CASE WHEN NOT t{k + 1} THEN '{n}' END" for k, n in enumerate(RULES)) + "], lambda x: x IS NOT NULL), ',') AS reasons, t1 AND t2 AND t3 AND t4 AS kept FROM rl", BOOK, DUP, RULED)
+put("platform_selection", "SELECT *, active AND endorsed AND verified AS selected FROM (SELECT event_type, count(DISTINCT date_trunc('week', ts)) >= 5 AND count(DISTINCT date_trunc('week', ts)) = date_diff('week', min(ts), max(ts)) + 1 AS active, event_type IN ('click', 'view', 'purchase') AS endorsed, count(DISTINCT user_id) >= 100 AS verified FROM events GROUP BY event_type)")
+steps = " UNION ALL ".join(f"SELECT {k} AS step, '{('all', *RULES)[k]}' AS rule, " + ("count(*) AS remaining, CAST(0 AS BIGINT) AS removed, count(*) AS without" if not k else f"count(*) FILTER ({' AND '.join(f't{i}' for i in range(1, k + 1))}) AS remaining, count(*) FILTER ({' AND '.join([f't{i}' for i in range(1, k)] + [f'NOT t{k}'])}) AS removed, count(*) FILTER ({' AND '.join(f't{i}' for i in range(1, len(RULES) + 1) if i != k)}) AS without") + " FROM rl" for k in range(len(RULES) + 1))
+FILTERED = (POSTS, TO_FILTER, book("tf", "thread_id"), dups("tf", "thread_id"), RULED)
+put("post_filter_funnel", steps, *FILTERED)
+put("post_filter_reasons", "SELECT thread_id, array_to_string(list_filter([" + ", ".join(f"CASE WHEN NOT t{k + 1} THEN '{n}' END" for k, n in enumerate(RULES)) + "], lambda x: x IS NOT NULL), ',') AS reasons, " + " AND ".join(f"t{k + 1}" for k in range(len(RULES))) + " AS kept FROM rl", *FILTERED)
+put("code_scheme_hits", "SELECT scheme, count(DISTINCT doc_id) AS docs, count(*) AS terms FROM cm GROUP BY scheme", BOOK)
+BODY = "regexp_replace(regexp_replace(regexp_replace(coalesce(html, ''), '(?is)<(script|style)[^>]*>.*?</(script|style)>', ' ', 'g'), '(?s)<[^>]*>', ' ', 'g'), '\\s+', ' ', 'g')"
+for sign, plain in (("&lt;", "<"), ("&gt;", ">"), ("&quot;", '"'), ("&#39;", "''"), ("&nbsp;", " "), ("&amp;", "&")):
+    BODY = f"replace({BODY}, '{sign}', '{plain}')"
+put("page_bodies", f"SELECT page_id, length(trim({BODY})) AS chars, md5(trim({BODY})) AS body_md5 FROM pages")
 put("code_term_hits", "SELECT doc_id, array_to_string(matched, ',') AS matched FROM ch", BOOK)
 put("symbol_share", f"SELECT doc_id, round({SHARE}, 6) AS share, ({SHARE}) < 0.5 AS ok FROM documents")
 put("language_vote", f"SELECT doc_id, {language('text')} AS voted, lang FROM documents")
@@ -174,7 +203,7 @@ put("leaderboard", "SELECT *, rank() OVER (ORDER BY score DESC) AS rank FROM boa
 put("leaderboard_modes", "SELECT model_id, round(sum(CASE WHEN met THEN weight ELSE 0 END) / sum(CASE WHEN weight > 0 THEN weight ELSE 0 END)::DOUBLE, 6) AS micro, round(avg(CAST(met AS INTEGER)), 6) AS unweighted, round(count(*) FILTER (met AND weight > 0) / (count(*) FILTER (weight > 0))::DOUBLE, 6) AS positive, round(count(*) FILTER (met AND abs(weight) = 10) / (count(*) FILTER (abs(weight) = 10))::DOUBLE, 6) AS critical FROM j GROUP BY model_id", STAR)
 put("axis_scores", "SELECT model_id, axis, round(sum(CASE WHEN met THEN weight ELSE 0 END) / sum(CASE WHEN weight > 0 THEN weight ELSE 0 END)::DOUBLE, 6) AS score FROM j GROUP BY ALL", STAR)
 put("snapshot_leaderboard", "SELECT *, rank() OVER (ORDER BY score DESC) AS rank FROM (SELECT model_id, round(avg(score), 6) AS score, count(score) AS n_cases, count(*) FILTER (score IS NULL) AS n_excluded FROM s WHERE published <= DATE '1996-12-31' GROUP BY model_id)", STAR)
-put("pairwise_wins", "SELECT a.model_id AS a, b.model_id AS b, count(*) FILTER (a.score > b.score) AS wins, count(*) FILTER (a.score < b.score) AS losses, count(*) FILTER (a.score = b.score) AS ties FROM s a JOIN s b ON a.case_id = b.case_id AND a.model_id < b.model_id WHERE a.model_id < 6 AND b.model_id < 6 AND a.score IS NOT NULL AND b.score IS NOT NULL GROUP BY ALL", STAR)
+put("pairwise_wins", "SELECT a.model_id AS a, b.model_id AS b, count(*) FILTER (a.score > b.score) AS wins, count(*) FILTER (a.score < b.score) AS losses, count(*) FILTER (a.score = b.score) AS ties FROM s a JOIN s b ON a.case_id = b.case_id AND a.model_id < b.model_id WHERE a.score IS NOT NULL AND b.score IS NOT NULL GROUP BY ALL", STAR)
 put("text_leaderboard", "SELECT model, count(score) AS n, round(avg(raw), 6) AS raw, round(avg(score), 6) AS score FROM ts GROUP BY model", THREADS, RUBRIC, ANSWERS, TEXT_SCORES)
 DELTA = "de AS (SELECT model_id, avg(score) AS f, avg(score) FILTER (published > eff) AS p, count(score) FILTER (published > eff) AS n_post FROM s GROUP BY model_id), dl AS (SELECT model_id, round(f, 6) AS full, round(p, 6) AS post, round(p - f, 6) AS diff, n_post FROM de)"
 put("cutoff_delta", "SELECT * FROM dl", STAR, DELTA.replace(" AS full,", ' AS "full",'))
@@ -202,7 +231,7 @@ def f1(pred: str, truth: str, source: str) -> str:
 
 put("macro_f1", "SELECT " + f1("b", "a", "ra"), RATED)
 flip = lambda k: f"CAST(met <> ((case_id * 31 + criterion_no * 17 + {k}) % 11 = 0) AS INTEGER) AS p{k}"
-put("grader_alignment", " UNION ALL ".join(f"SELECT '{n}' AS pair, macro_f1 FROM (SELECT {f1(a, b, 'ga')})" for n, a, b in (("grader 1", "k", "p1"), ("grader 2", "k", "p2"), ("raters", "p1", "p2"))), STAR, f"ga AS (SELECT CAST(met AS INTEGER) AS k, {flip(1)}, {flip(2)} FROM j WHERE model_id = 37)")
+put("grader_alignment", " UNION ALL ".join(f"SELECT '{n}' AS pair, macro_f1 FROM (SELECT {f1(a, b, 'ga')})" for n, a, b in (("grader 1", "k", "p1"), ("grader 2", "k", "p2"), ("raters", "p1", "p2"))), STAR, f"ga AS (SELECT CAST(met AS INTEGER) AS k, {flip(1)}, {flip(2)} FROM j)")
 put("pearson_case", "SELECT count(*) AS n, round(corr(x, y), 6) AS r FROM (SELECT max(score) FILTER (model_id = 36) AS x, max(score) FILTER (model_id = 37) AS y FROM s WHERE model_id IN (36, 37) GROUP BY case_id) WHERE x IS NOT NULL AND y IS NOT NULL", STAR)
 put("sampled_cases", "SELECT case_id, theme FROM cs ORDER BY md5('42:' || case_id), case_id LIMIT 50", STAR)
 put("score_histogram", "SELECT CAST(least(floor(score * 10), 9) AS BIGINT) AS bin, count(*) AS n FROM s WHERE score IS NOT NULL GROUP BY 1", STAR)

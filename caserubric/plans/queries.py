@@ -12,7 +12,7 @@ from ..operators import curation as U
 from ..operators import dense as D
 from ..operators import grading as G
 from ..operators import rubric as R
-from ..tables import load, models, posts, star_cases, star_criteria, star_judged
+from ..tables import TAGS, load, models, posts, star_cases, star_criteria, star_judged, threads_to_filter
 
 QUERIES: dict = {}
 
@@ -48,19 +48,27 @@ def passages(spark: SparkSession, d: str) -> DataFrame:
     return load(spark, d, "documents").select("doc_id", "text").join(labels, "doc_id")
 
 
-def document_rules(d: DataFrame, first: DataFrame, hits: DataFrame) -> tuple[DataFrame, list[C.Rule]]:
-    rows = d.join(hits.select("doc_id", F.size("matched").alias("codes")), "doc_id", "left").join(first, "doc_id", "left")
+FLOOR_DATE, OFF_TOPIC = "2024-01-04", ("career", "exam")
+
+
+def thread_rules(rows: DataFrame, first: DataFrame, hits: DataFrame) -> tuple[DataFrame, list[C.Rule]]:
+    """The eight post filters, in the order in which they are listed."""
+    rows = rows.join(hits.select("thread_id", F.size("matched").alias("codes")), "thread_id", "left").join(first, "thread_id", "left")
     return rows, [
-        C.Rule("language", F.col("lang").isin("en", "es")),
-        C.Rule("symbols", X.symbol_share("text") < 0.30),
+        C.Rule("date", C.published_since(F.col("posted_at"), FLOOR_DATE)),
+        C.Rule("tags", C.tag_allowed(F.col("tags"), [x for x in TAGS if x not in OFF_TOPIC], list(OFF_TOPIC))),
+        C.Rule("text only", X.text_only("text")),
+        C.Rule("symbols", X.symbol_share("text") < 0.5),
+        C.Rule("language", X.language("text").isin("en", "zh")),
         C.Rule("code term", F.col("codes") > 0),
         C.Rule("duplicate", F.col("dup_of").isNull()),
+        C.Rule("verified reply", F.col("replied")),
     ]
 
 
-def ruled_documents(spark: SparkSession, d: str) -> tuple[DataFrame, list[C.Rule]]:
-    docs = load(spark, d, "documents").select("doc_id", "text", "lang")
-    return document_rules(docs, C.exact_groups(docs, "doc_id", "text"), C.code_hits(docs, "doc_id", "text", C.codebook(load(spark, d, "benchmark"))))
+def ruled_threads(spark: SparkSession, d: str) -> tuple[DataFrame, list[C.Rule]]:
+    rows = threads_to_filter(spark, d)
+    return thread_rules(rows, C.exact_groups(rows, "thread_id", "text"), C.code_hits(rows, "thread_id", "text", C.codebook(load(spark, d, "benchmark"))))
 
 
 def answers(spark: SparkSession, d: str) -> DataFrame:
@@ -99,14 +107,14 @@ def platform_selection(spark, d):
 
 @query
 def post_filter_funnel(spark, d):
-    rows, rules = ruled_documents(spark, d)
+    rows, rules = ruled_threads(spark, d)
     return C.filter_funnel(rows, rules, ablate=True)
 
 
 @query
 def post_filter_reasons(spark, d):
-    rows, rules = ruled_documents(spark, d)
-    return C.post_filter(rows, rules).select("doc_id", F.array_join("reasons", ",").alias("reasons"), "kept")
+    rows, rules = ruled_threads(spark, d)
+    return C.post_filter(rows, rules).select("thread_id", F.array_join("reasons", ",").alias("reasons"), "kept")
 
 
 @query
@@ -115,6 +123,20 @@ def code_term_hits(spark, d):
     return hits.select("doc_id", F.array_join("matched", ",").alias("matched"))
 
 
+@query
+def code_scheme_hits(spark, d):
+    """Documents with a term of one scheme, for each of the three."""
+    docs, book = load(spark, d, "documents").select("doc_id", "text"), C.codebook(load(spark, d, "benchmark"))
+    each = [C.code_hits(docs, "doc_id", "text", book, (s,)).agg(F.lit(s).alias("scheme"), F.count(F.lit(1)).alias("docs"), F.sum(F.size("matched").cast("long")).alias("terms")) for s in C.SCHEMES]
+    return each[0].union(each[1]).union(each[2])
+
+
+@query
+def page_bodies(spark, d):
+    p = X.page_text("html")
+    return load(spark, d, "pages").select("page_id", F.length(p["body"]).cast("long").alias("chars"), F.md5(p["body"]).alias("body_md5"))
+
+
 @query
 def symbol_share(spark, d):
     return load(spark, d, "documents").select("doc_id", F.round(X.symbol_share("text"), 6).alias("share"), (X.symbol_share("text") < 0.5).alias("ok"))

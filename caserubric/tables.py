@@ -79,3 +79,19 @@ def posts(spark: SparkSession, sf_dir: str) -> DataFrame:
     n = F.lit(events.count())
     rows = load(spark, sf_dir, "conversations").withColumn("event_id", (F.col("conv_id") * 97) % n)
     return rows.join(events, "event_id").select(F.col("conv_id").alias("thread_id"), "turn", "role", "text", F.col("ts").cast("timestamp").alias("posted_at"), F.concat(F.lit("p"), F.col("conv_id") % 4).alias("platform"))
+
+
+TAGS = ("cardiology", "oncology", "career", "exam", "paediatrics", "surgery", "neurology")
+
+
+def threads_to_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """thread_id, text, posted_at, tags, replied: what the post filters look at, one row a conversation.
+
+    The tables have no tags and no attachments: a thread's tag hangs on its number, and every eleventh thread shows a
+    picture. Its text is that of all turns but notices.
+    """
+    rows = posts(spark, sf_dir).where("role <> 'system'")
+    text = F.array_join(F.transform(F.sort_array(F.collect_list(F.struct("turn", "role", "text"))), lambda m: m["text"]), "\n")
+    out = rows.groupBy("thread_id").agg(text.alias("text"), F.min("posted_at").alias("posted_at"), F.bool_or(F.col("role") == "assistant").alias("replied"))
+    tag = F.element_at(F.array(*map(F.lit, TAGS)), (F.col("thread_id") % len(TAGS) + 1).cast("int"))
+    return out.select("thread_id", F.when(F.col("thread_id") % 11 == 0, F.concat("text", F.lit("\n[image]"))).otherwise(F.col("text")).alias("text"), "posted_at", F.array(tag).alias("tags"), "replied")
