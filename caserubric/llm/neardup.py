@@ -30,6 +30,7 @@ from .common import components, join_facts, publish
 from .repeats import hashed_runs
 
 SKETCH_WORDS = 16  # of 64 bits
+SENT_CLASSES = 400_000  # classes whose sketches, some 60 MB, may be sent to all executors; more are joined by shuffles
 
 
 @dataclass(frozen=True)
@@ -261,9 +262,15 @@ def sets_of(rule: Overlap):
     return run
 
 
+def sketches(classes: DataFrame) -> DataFrame:
+    """(name, n, bits), marked for broadcast if there are few."""
+    light = classes.select("name", "n", "bits")
+    return F.broadcast(light) if classes.count() <= SENT_CLASSES else light
+
+
 def verified(pairs: DataFrame, rows: DataFrame, classes: DataFrame, rule: Overlap) -> DataFrame:
     """The linked ones of pairs (a, b): sizes and 1024-bit sketches first, then the sets themselves."""
-    light = classes.select("name", "n", "bits")
+    light = sketches(classes)
     side = lambda s: light.select(F.col("name").alias(s), F.col("n").alias(f"n{s}"), F.col("bits").alias(f"bits{s}"))
     far = F.aggregate(F.zip_with("bitsa", "bitsb", lambda x, y: F.bit_count(x.bitwiseXOR(y))), F.lit(0), lambda s, x: s + x)
     near = pairs.join(side("a"), "a").join(side("b"), "b").where((F.least("na", "nb") * rule.den >= F.greatest("na", "nb") * rule.num) & (far <= F.floor((rule.den - rule.num) * (F.col("na") + F.col("nb")) / (rule.den + rule.num))))
@@ -313,9 +320,10 @@ def near_duplicates(docs: DataFrame, rule: Overlap = Overlap(), id_col: str = "d
     tried = buckets.select("name", F.explode(F.array("leader", "other")).alias("with")).where("name <> with").select(F.least("name", "with").alias("a"), F.greatest("name", "with").alias("b")).distinct()
     links = verified(tried, rows, classes, rule)
     root = publish(components(links), "roots")
-    member = buckets.select("key", "name").join(root.withColumnRenamed("id", "name"), "name", "left").withColumn("root", F.coalesce("component", "name"))
+    # pairs with a bucket's leader or other have been tried, so only buckets of four and more have pairs left
+    member = buckets.where("name <> leader and name <> other").select("key", "name").join(root.withColumnRenamed("id", "name"), "name", "left").withColumn("root", F.coalesce("component", "name"))
     open_keys = member.groupBy("key").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).where("lo <> hi").select("key")
-    rest = member.join(open_keys, "key", "left_semi").join(classes.select("name", "n", "bits"), "name").select("key", "name", "root", "n", "bits")
+    rest = member.join(open_keys, "key", "left_semi").join(sketches(classes), "name").select("key", "name", "root", "n", "bits")
     more = rest.repartition("key").sortWithinPartitions("key", "name").mapInArrow(close_pairs(rule), "a long, b long").distinct()
     links = links.union(verified(more, rows, classes, rule))
     joined = classes.select("name", "row", "copies").join(publish(components(links), "roots").withColumnRenamed("id", "name"), "name", "left").withColumn("component", F.coalesce("component", "name"))
