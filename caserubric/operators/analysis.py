@@ -40,6 +40,12 @@ def degraded_share(delta: DataFrame) -> DataFrame:
     return delta.agg(F.count("diff").alias("n"), F.sum((F.col("diff") < 0).cast("long")).alias("n_down"), rounded(F.avg((F.col("diff") < 0).cast("double"))).alias("share"), F.min("diff").alias("worst"), F.max("diff").alias("best"))
 
 
+def degraded_by_family(delta: DataFrame, models: DataFrame, family: str = "access") -> DataFrame:
+    """family (null for all), n, n_down, share, mean_diff, worst by rollup."""
+    j = delta.join(models.select("model_id", family), "model_id")
+    return j.rollup(family).agg(F.count("diff").alias("n"), F.sum((F.col("diff") < 0).cast("long")).alias("n_down"), rounded(F.avg((F.col("diff") < 0).cast("double"))).alias("share"), rounded(F.avg("diff")).alias("mean_diff"), F.min("diff").alias("worst"))
+
+
 def drop_significance(scores: DataFrame, models: DataFrame) -> DataFrame:
     """model_id, n_pre, n_post, t, df: Welch's test of newer against older cases."""
     s = scores.join(effective_cutoff(models), "model_id").where("score is not null")
@@ -57,6 +63,20 @@ def score_by_quarter(scores: DataFrame, overlap: int = 2) -> DataFrame:
     return q.select(F.col("quarter").cast("string").alias("quarter"), "n", rounded(F.col("s") / F.col("n")).alias("mean"), rounded(F.sum("s").over(w) / F.sum("n").over(w)).alias("moving"))
 
 
+def score_by_window(scores: DataFrame, width: int = 1, slide: int | None = None) -> DataFrame:
+    """start (first month), n, mean over windows of `width` months, one every `slide` months (tumbling if not given).
+
+    Scores are added up by month first, so a sliding window repeats months, not cases.
+    """
+    slide = slide or width
+    month = F.year("published") * 12 + F.month("published") - 1
+    by = scores.where("score is not null").groupBy(month.alias("m")).agg(F.count(F.lit(1)).alias("c"), F.sum("score").alias("s"))
+    last = F.floor(F.col("m") / slide) * slide
+    starts = F.filter(F.transform(F.sequence(F.lit(0), F.lit(-(-width // slide) - 1)), lambda k: last - k * slide), lambda x: x > F.col("m") - width)
+    g = by.select("c", "s", F.explode(starts).alias("w")).groupBy("w").agg(F.sum("c").alias("n"), F.sum("s").alias("s"))
+    return g.select(F.make_date((F.col("w") / 12).cast("int"), (F.col("w") % 12 + 1).cast("int"), F.lit(1)).cast("string").alias("start"), "n", rounded(F.col("s") / F.col("n")).alias("mean"))
+
+
 def trend(scores: DataFrame) -> DataFrame:
     """slope of the score per 30 days."""
     day = F.datediff("published", F.lit("1970-01-01").cast("date"))
@@ -173,6 +193,11 @@ def score_histogram(scores: DataFrame, bins: int = 10) -> DataFrame:
     return scores.where("score is not null").groupBy(b.alias("bin")).agg(F.count(F.lit(1)).alias("n"))
 
 
+def score_skew(scores: DataFrame, model: str = "model_id") -> DataFrame:
+    """model, n, skew of the scores: the third central moment over the variance to the power of 3/2."""
+    return scores.where("score is not null").groupBy(model).agg(F.count(F.lit(1)).alias("n"), F.round(F.skewness("score"), 5).alias("skew"))
+
+
 # --- breakdown ------------------------------------------------------------------------------------------------------
 
 
@@ -306,6 +331,15 @@ def dataset_profile(cases: DataFrame) -> DataFrame:
     return g.withColumn("share", rounded(F.col("n") / F.sum("n").over(Window.partitionBy("facet"))))
 
 
+def criteria_profile(criteria: DataFrame) -> DataFrame:
+    """facet, value, n, share: criteria by axis; and the mean, least and most criteria of a case, as value with n cases."""
+    axis = criteria.groupBy("axis").agg(F.count(F.lit(1)).alias("n"))
+    axis = axis.select(F.lit("axis").alias("facet"), F.col("axis").cast("double").alias("value"), "n", rounded(F.col("n") / F.sum("n").over(Window.partitionBy())).alias("share"))
+    per = criteria.groupBy("case_id").agg(F.count(F.lit(1)).alias("c")).agg(F.count(F.lit(1)).alias("n"), F.avg("c").alias("mean"), F.min("c").alias("least"), F.max("c").alias("most"))
+    rows = [F.struct(F.lit(f"{k} per case").alias("facet"), rounded(F.col(k).cast("double")).alias("value"), F.col("n").alias("n"), F.lit(None).cast("double").alias("share")) for k in ("mean", "least", "most")]
+    return axis.union(per.select(F.inline(F.array(*rows))))
+
+
 def sample_cases(cases: DataFrame, k: int = 50, seed: int = 42, key: str = "case_id", strata: str | None = None) -> DataFrame:
     """k cases by seeded hash, or k of each stratum; the same rows in any engine."""
     h = F.md5(F.concat(F.lit(f"{seed}:"), F.col(key).cast("string")))

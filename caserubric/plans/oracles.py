@@ -208,6 +208,11 @@ put("text_leaderboard", "SELECT model, count(score) AS n, round(avg(raw), 6) AS
 DELTA = "de AS (SELECT model_id, avg(score) AS f, avg(score) FILTER (published > eff) AS p, count(score) FILTER (published > eff) AS n_post FROM s GROUP BY model_id), dl AS (SELECT model_id, round(f, 6) AS full, round(p, 6) AS post, round(p - f, 6) AS diff, n_post FROM de)"
 put("cutoff_delta", "SELECT * FROM dl", STAR, DELTA.replace(" AS full,", ' AS "full",'))
 put("degraded_share", "SELECT count(diff) AS n, count(*) FILTER (diff < 0) AS n_down, round(avg(CAST(diff < 0 AS INTEGER)), 6) AS share, min(diff) AS worst, max(diff) AS best FROM dl", STAR, DELTA.replace(" AS full,", ' AS "full",'))
+put("degraded_by_family", "SELECT access, count(diff) AS n, count(*) FILTER (diff < 0) AS n_down, round(avg(CAST(diff < 0 AS INTEGER)), 6) AS share, round(avg(diff), 6) AS mean_diff, min(diff) AS worst FROM dl JOIN m USING (model_id) GROUP BY ROLLUP (access)", STAR, DELTA.replace(" AS full,", ' AS "full",'))
+put("score_by_month", "SELECT CAST(CAST(date_trunc('month', published) AS DATE) AS VARCHAR) AS start, count(*) AS n, round(avg(score), 6) AS mean FROM s WHERE score IS NOT NULL GROUP BY 1", STAR)
+put("score_sliding", "SELECT CAST(CAST(w AS DATE) AS VARCHAR) AS start, count(*) AS n, round(avg(score), 6) AS mean FROM s JOIN (SELECT unnest(generate_series(TIMESTAMP '1990-01-01', TIMESTAMP '2010-01-01', INTERVAL 3 MONTH)) AS w) ON published >= w AND published < w + INTERVAL 12 MONTH WHERE score IS NOT NULL GROUP BY 1", STAR)
+put("score_skew", "SELECT model_id, count(*) AS n, round(avg(pow(score - mean, 3)) / pow(avg(pow(score - mean, 2)), 1.5), 5) AS skew FROM (SELECT *, avg(score) OVER (PARTITION BY model_id) AS mean FROM s WHERE score IS NOT NULL) GROUP BY model_id", STAR)
+put("criteria_profile", "SELECT 'axis' AS facet, axis::DOUBLE AS value, count(*) AS n, round(count(*) / sum(count(*)) OVER (), 6) AS share FROM cr GROUP BY axis UNION ALL SELECT * FROM (SELECT unnest(['mean per case', 'least per case', 'most per case']) AS facet, unnest([round(avg(c), 6), min(c)::DOUBLE, max(c)::DOUBLE]) AS value, count(*) AS n, NULL::DOUBLE AS share FROM (SELECT count(*) AS c FROM cr GROUP BY case_id))", STAR)
 put("drop_significance", "SELECT model_id, n0 AS n_pre, n1 AS n_post, round((m1 - m0) / sqrt(v0 / n0 + v1 / n1), 4) AS t, round(pow(v0 / n0 + v1 / n1, 2) / (pow(v0 / n0, 2) / (n0 - 1) + pow(v1 / n1, 2) / (n1 - 1)), 2) AS df FROM (SELECT model_id, count(score) FILTER (published <= eff) AS n0, count(score) FILTER (published > eff) AS n1, avg(score) FILTER (published <= eff) AS m0, avg(score) FILTER (published > eff) AS m1, var_samp(score) FILTER (published <= eff) AS v0, var_samp(score) FILTER (published > eff) AS v1 FROM s GROUP BY model_id)", STAR)
 put("score_by_quarter", "SELECT CAST(quarter AS VARCHAR) AS quarter, n, round(t / n, 6) AS mean, round(sum(t) OVER w / sum(n) OVER w, 6) AS moving FROM (SELECT CAST(date_trunc('quarter', published) AS DATE) AS quarter, count(*) AS n, sum(score) AS t FROM s WHERE score IS NOT NULL GROUP BY 1) WINDOW w AS (ORDER BY quarter ROWS BETWEEN 1 PRECEDING AND CURRENT ROW)", STAR)
 put("score_trend", "SELECT round(regr_slope(score, date_diff('day', DATE '1970-01-01', published) / 30.0::DOUBLE), 8) AS slope FROM s WHERE score IS NOT NULL", STAR)
@@ -222,6 +227,13 @@ AC = "x AS (SELECT count(*) AS n, avg(CAST(a = b AS INTEGER)) AS pa, avg(a) AS m
 put("gwet_ac1", "SELECT *, CASE WHEN ac1 > 0.8 THEN 'almost perfect' WHEN ac1 > 0.6 THEN 'substantial' WHEN ac1 > 0.4 THEN 'moderate' WHEN ac1 > 0.2 THEN 'fair' ELSE 'slight' END AS band FROM z", RATED, AC)
 
 
+LEVELS = "l3 AS (SELECT a + CAST(length(text) >= 900 AS INTEGER) AS a, b + CAST(length(text) >= 800 AS INTEGER) AS b FROM ra JOIN documents USING (doc_id))"
+mean = lambda c, k: f"avg(CAST({c} = {k} AS INTEGER))"
+chance = " + ".join(f"(a{k} + b{k}) / 2 * (1 - (a{k} + b{k}) / 2)" for k in range(3))
+both = " + ".join(f"a{k} * b{k}" for k in range(3))
+put("gwet_ac1_levels", "SELECT n, round(pa, 6) AS pa, round(pe, 6) AS pe, round((pa - pe) / (1 - pe), 6) AS ac1, round((pa - ke) / (1 - ke), 6) AS kappa FROM l5", RATED, LEVELS, "l4 AS (SELECT count(*) AS n, avg(CAST(a = b AS INTEGER)) AS pa, " + ", ".join(f"{mean(c, k)} AS {c}{k}" for c in "ab" for k in range(3)) + " FROM l3)", f"l5 AS (SELECT n, pa, ({chance}) / 2 AS pe, {both} AS ke FROM l4)")
+
+
 def f1(pred: str, truth: str, source: str) -> str:
     c = lambda p, t: f"count(*) FILTER ({pred} = {p} AND {truth} = {t})"
     wrong = f"({c(1, 0)} + {c(0, 1)})"
@@ -232,6 +244,7 @@ def f1(pred: str, truth: str, source: str) -> str:
 put("macro_f1", "SELECT " + f1("b", "a", "ra"), RATED)
 flip = lambda k: f"CAST(met <> ((case_id * 31 + criterion_no * 17 + {k}) % 11 = 0) AS INTEGER) AS p{k}"
 put("grader_alignment", " UNION ALL ".join(f"SELECT '{n}' AS pair, macro_f1 FROM (SELECT {f1(a, b, 'ga')})" for n, a, b in (("grader 1", "k", "p1"), ("grader 2", "k", "p2"), ("raters", "p1", "p2"))), STAR, f"ga AS (SELECT CAST(met AS INTEGER) AS k, {flip(1)}, {flip(2)} FROM j)")
+put("grader_mean", "SELECT CASE WHEN pair = 'raters' THEN 'raters' ELSE 'grader' END AS who, round(avg(macro_f1), 6) AS macro_f1 FROM (" + ORACLES["grader_alignment"] + ") GROUP BY 1")
 put("pearson_case", "SELECT count(*) AS n, round(corr(x, y), 6) AS r FROM (SELECT max(score) FILTER (model_id = 36) AS x, max(score) FILTER (model_id = 37) AS y FROM s WHERE model_id IN (36, 37) GROUP BY case_id) WHERE x IS NOT NULL AND y IS NOT NULL", STAR)
 put("sampled_cases", "SELECT case_id, theme FROM cs ORDER BY md5('42:' || case_id), case_id LIMIT 50", STAR)
 put("score_histogram", "SELECT CAST(least(floor(score * 10), 9) AS BIGINT) AS bin, count(*) AS n FROM s WHERE score IS NOT NULL GROUP BY 1", STAR)
@@ -257,6 +270,7 @@ put("worst_per_axis", "SELECT axis, max(model_id) FILTER (a = 1) AS worst, max(m
 BOT = "bo AS (SELECT model_id, case_id, row_number() OVER (PARTITION BY model_id ORDER BY raw, case_id) AS place FROM s WHERE raw IS NOT NULL QUALIFY place <= 100)"
 put("bottom_k", "SELECT * FROM bo", STAR, BOT)
 put("bottom_overlap", "SELECT a.model_id AS m1, b.model_id AS m2, coalesce(c, 0) AS shared, round(coalesce(c, 0) / (a.n + b.n - coalesce(c, 0))::DOUBLE, 6) AS jaccard FROM sz a JOIN sz b ON a.model_id < b.model_id LEFT JOIN (SELECT x.model_id AS m1, y.model_id AS m2, count(*) AS c FROM bo x JOIN bo y ON x.case_id = y.case_id AND x.model_id < y.model_id GROUP BY ALL) k ON k.m1 = a.model_id AND k.m2 = b.model_id", STAR, BOT, "sz AS (SELECT model_id, count(*) AS n FROM bo GROUP BY model_id)")
+put("mean_overlap", "SELECT count(*) AS pairs, round(avg(jaccard), 6) AS mean, min(jaccard) AS least, max(jaccard) AS most FROM (" + ORACLES["bottom_overlap"] + ")")
 put("cause_share", "SELECT cause, CAST(sum(c) AS BIGINT) AS n, round(min(c / t), 6) AS lowest, round(max(c / t), 6) AS highest, round(sum(c) / sum(sum(c)) OVER (), 6) AS share FROM (SELECT model_id, cause, count(*) AS c, sum(count(*)) OVER (PARTITION BY model_id) AS t FROM ca GROUP BY model_id, cause) GROUP BY cause", STAR, BOT, """ca AS (SELECT model_id, CASE WHEN weight <= -8 THEN 'hallucination' WHEN weight < 0 THEN 'guideline overgeneralisation' WHEN axis = 3 THEN 'context neglect' WHEN axis = 0 THEN 'knowledge gap' WHEN axis = 1 THEN 'other_1' WHEN axis = 2 THEN 'other_2' ELSE 'other_3' END AS cause
   FROM (SELECT j.*, row_number() OVER (PARTITION BY j.model_id, j.case_id ORDER BY abs(weight) DESC, criterion_no) AS k FROM j JOIN bo USING (model_id, case_id) WHERE CASE WHEN weight > 0 THEN NOT met ELSE met END) WHERE k = 1)""")
 MODES = """mo0 AS (SELECT model_id, case_id, weight, met, met OR (weight > 0 AND luck < 24 + model_id) AS helped FROM j WHERE published >= DATE '2001-07-01'),
@@ -276,3 +290,6 @@ put("long_tail", "SELECT * FROM lt", STAR, TAIL)
 put("tail_gini", "SELECT round((count(*) + 1 - 2 * sum(place * n) / sum(n)::DOUBLE) / count(*), 6) AS gini FROM lt", STAR, TAIL)
 put("weekly_growth", "SELECT CAST(CAST(date_trunc('week', posted_at) AS DATE) AS VARCHAR) AS week, platform, count(*) AS posts, count(DISTINCT thread_id) AS threads FROM po GROUP BY ALL", POSTS)
 ORACLES["curation_funnel"] = ORACLES["curation_funnel"].replace("\n, pl AS", ",\npl AS")
+agents = {"screen": ("screener", 4), "audit": ("controller", 4)}
+tier = lambda i: " ".join(f"WHEN '{k}' THEN {v[i]!r}" for k, v in agents.items())
+put("cascade_cost", f"SELECT stage, CASE stage {tier(0)} ELSE 'validator' END AS agent, CAST(CASE stage {tier(1)} ELSE 120 END AS INTEGER) AS params_b, calls, flat_calls FROM (SELECT *, lag(remaining) OVER (ORDER BY step) AS calls, max(remaining) OVER () AS flat_calls FROM ({ORACLES['curation_funnel']})) WHERE step > 0")

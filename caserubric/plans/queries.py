@@ -329,6 +329,21 @@ def degraded_share(spark, d):
     return A.degraded_share(A.cutoff_delta(dated_scores(spark, d), models(spark)))
 
 
+@query
+def degraded_by_family(spark, d):
+    return A.degraded_by_family(A.cutoff_delta(dated_scores(spark, d), models(spark)), models(spark))
+
+
+@query
+def score_by_month(spark, d):
+    return A.score_by_window(dated_scores(spark, d), 1)
+
+
+@query
+def score_sliding(spark, d):
+    return A.score_by_window(dated_scores(spark, d), 12, 3)
+
+
 @query
 def drop_significance(spark, d):
     return A.drop_significance(dated_scores(spark, d), models(spark))
@@ -394,6 +409,14 @@ def gwet_ac1(spark, d):
     return A.agreement(rated(spark, d), [0, 1]).withColumn("band", A.agreement_band(F.col("ac1")))
 
 
+@query
+def gwet_ac1_levels(spark, d):
+    """Agreement on three levels: each rater gives one point more to longer texts, at lengths of their own."""
+    long = load(spark, d, "documents").select("doc_id", F.length("text").alias("len"))
+    three = rated(spark, d).join(long, "doc_id").select((F.col("a") + (F.col("len") >= 900).cast("int")).alias("a"), (F.col("b") + (F.col("len") >= 800).cast("int")).alias("b"))
+    return A.agreement(three, [0, 1, 2])
+
+
 @query
 def macro_f1(spark, d):
     return A.macro_f1(rated(spark, d), "b", "a")
@@ -409,6 +432,13 @@ def grader_alignment(spark, d):
     return out.union(A.macro_f1(rows, "m", "p2").select(F.lit("grader 2"), "macro_f1")).union(A.macro_f1(rows, "p1", "p2").select(F.lit("raters"), "macro_f1"))
 
 
+@query
+def grader_mean(spark, d):
+    """The grader's mean agreement with both physicians, beside theirs with each other."""
+    g = grader_alignment(spark, d)
+    return g.groupBy(F.when(F.col("pair") == "raters", "raters").otherwise("grader").alias("who")).agg(F.round(F.avg("macro_f1"), 6).alias("macro_f1"))
+
+
 def two_models(spark, d):
     s = G.case_scores(star_judged(spark, d).where("model_id in (36, 37)"))
     return s.groupBy("case_id").agg(F.max(F.when(F.col("model_id") == 36, F.col("score"))).alias("x"), F.max(F.when(F.col("model_id") == 37, F.col("score"))).alias("y"))
@@ -429,6 +459,11 @@ def score_histogram(spark, d):
     return A.score_histogram(G.case_scores(star_judged(spark, d)))
 
 
+@query
+def score_skew(spark, d):
+    return A.score_skew(G.case_scores(star_judged(spark, d)))
+
+
 def judged_twice(spark, d):
     """model, case_id, text length, rubric and holistic score."""
     s = G.case_scores(text_judged(spark, d), "model").select("model", "case_id", F.col("score").alias("rubric"))
@@ -534,6 +569,12 @@ def bottom_overlap(spark, d):
     return A.bottom_overlap(A.bottom_k(G.case_scores(star_judged(spark, d))), models(spark))
 
 
+@query
+def mean_overlap(spark, d):
+    o = A.bottom_overlap(A.bottom_k(G.case_scores(star_judged(spark, d))), models(spark))
+    return o.agg(F.count(F.lit(1)).alias("pairs"), F.round(F.avg("jaccard"), 6).alias("mean"), F.min("jaccard").alias("least"), F.max("jaccard").alias("most"))
+
+
 @query
 def cause_share(spark, d):
     j = star_judged(spark, d)
@@ -611,6 +652,11 @@ def dataset_profile(spark, d):
     return A.dataset_profile(star_cases(spark, d))
 
 
+@query
+def criteria_profile(spark, d):
+    return A.criteria_profile(star_criteria(spark, d))
+
+
 @query
 def criteria_histogram(spark, d):
     per = star_criteria(spark, d).groupBy("case_id").agg(F.count(F.lit(1)).alias("criteria"))

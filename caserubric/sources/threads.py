@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from collections.abc import Iterator
 
+from pyspark.errors import AnalysisException
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.datasource import DataSource, DataSourceReader, InputPartition
@@ -53,14 +54,17 @@ def append_week(posts: DataFrame, path: str) -> None:
     posts.write.mode("append").partitionBy("harvest_week").parquet(path)
 
 
-def upsert(batch: DataFrame, path: str, key: str = "thread_id") -> int:
-    """Append the rows whose key the table lacks; delivering a batch twice changes nothing. Returns the rows added."""
-    spark = batch.sparkSession
-    fresh = batch.dropDuplicates([key])
+def upsert(batch: DataFrame, path: str, key: str | tuple[str, ...] = ("thread_id", "turn")) -> int:
+    """Append the rows whose key the table lacks; delivering a batch twice changes nothing. Returns the rows added.
+
+    A row is a message unless another key is given, so later replies of a known thread are added.
+    """
+    spark, keys = batch.sparkSession, [key] if isinstance(key, str) else list(key)
+    fresh = batch.dropDuplicates(keys)
     try:
-        fresh = fresh.join(spark.read.parquet(path).select(key), key, "left_anti")
-    except Exception as fault:
-        if "PATH_NOT_FOUND" not in str(fault) and "UNABLE_TO_INFER_SCHEMA" not in str(fault):
+        fresh = fresh.join(spark.read.parquet(path).select(*keys), keys, "left_anti")
+    except AnalysisException as fault:  # no table yet
+        if fault.getCondition() not in ("PATH_NOT_FOUND", "UNABLE_TO_INFER_SCHEMA"):
             raise
     fresh = fresh.persist()
     n = fresh.count()

@@ -41,7 +41,7 @@ def distinct_posts(posts: DataFrame, ts: str = "posted_at") -> DataFrame:
     return timed(posts, ts).withColumn("content_key", F.xxhash64(F.lower("text"))).dropDuplicatesWithinWatermark(["content_key"])
 
 
-def harvest_stream(posts: DataFrame, out: str, checkpoint: str, key: str = "thread_id") -> StreamingQuery:
+def harvest_stream(posts: DataFrame, out: str, checkpoint: str, key: str | tuple[str, ...] = ("thread_id", "turn")) -> StreamingQuery:
     """Append what the index lacks, batch by batch. A batch that is delivered again after a failure adds nothing."""
 
     def write(batch: DataFrame, number: int) -> None:

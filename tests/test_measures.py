@@ -99,6 +99,43 @@ def test_advice_from_the_seventh_sentence_on_is_judged_and_graded(spark):
     assert one(U.validate(s, book)).vetoed
 
 
+def test_each_broken_rubric_rule_is_named(spark):
+    rows = [(1, 1, "a", 1, 0), (1, 2, "b", 1, 11), (1, 3, "c", -1, -11), (1, 4, "d", 1, -5), (1, 5, "e", 1, 3), (1, 6, "e", 1, 3), (2, 1, "f", -1, -4), (3, 1, "g", 1, 10)]
+    got = R.check_rubric(spark.createDataFrame(rows, "case_id int, criterion_no int, criterion string, polarity int, weight int")).collect()
+    assert sorted((r.case_id, r.criterion_no or 0, r.violation) for r in got) == [(1, 1, "sign"), (1, 1, "zero"), (1, 2, "range"), (1, 3, "range"), (1, 4, "sign"), (1, 6, "duplicate"), (2, 0, "no positive")]
+
+
+def test_tiers_see_what_the_former_passed(spark, monkeypatch):
+    """Evidence is sought for sufficient narratives only, and only kept threads are audited."""
+    talk = lambda t, user, reply: [(t, 0, "user", user), (t, 1, "assistant", reply)]
+    good = "The headache is severe and it started on Monday. Severe headache with fever since Monday"
+    rows = talk(1, good, "Drink much water every day. Rest in a dark room") + talk(2, "The cough and the itching. Nothing", "Drink much water every day") + talk(3, good, "Bleed the patient with leeches")
+    passages = spark.createDataFrame([(7, "drink much water every single day", 0), (8, "bleed the patient with leeches now", 1)], "doc_id long, text string, toxic int")
+    seen = {}
+    for name, key in (("bm25", 0), ("audit", 0)):
+        was = getattr(U, name)
+        monkeypatch.setattr(U, name, lambda df, *x, _was=was, _name=name, **kw: (seen.setdefault(_name, sorted(r.thread_id for r in df.select("thread_id").distinct().collect())), _was(df, *x, **kw))[1])
+    out = U.curate(spark.createDataFrame(rows, "thread_id long, turn long, role string, text string"), passages)
+    reasons = {r.thread_id: r.reason for r in out.rejects.collect()}
+    assert reasons == {2: "sufficiency", 3: "veto"} and [r.case_id for r in out.cases.collect()] == [1]
+    assert seen == {"bm25": [1, 3], "audit": [1]}
+
+
+@pytest.mark.parametrize("common", [0.2])
+def test_bm25_is_the_same_whatever_counts_as_common(spark, common):
+    words = lambda k: " ".join(f"w{(k * 7 + j * j) % (5 + j)}" for j in range(12)) + (" the" * (k % 4))
+    docs = spark.createDataFrame([(k, words(k)) for k in range(60)], "doc_id long, text string")
+    asked = spark.createDataFrame([(k, words(k + 3)[:20] + (" the" if k % 2 else "")) for k in range(20)] + [(99, "the"), (98, "unknown")], "q_id long, q_text string")
+    rows = lambda c: sorted(map(tuple, U.bm25(asked, docs, 4, common=c).select("q_id", "doc_id", "rank", "score").collect()))
+    assert rows(common) == rows(2.0)
+
+
+def test_a_platform_with_a_gap_is_not_active(spark):
+    weeks = {"a": (1, 8, 15), "b": (1, 8, 22), "c": (1, 8)}
+    df = spark.createDataFrame([(p, f"2024-01-{day:02d}") for p, days in weeks.items() for day in days], "platform string, day string").withColumn("ts", F.to_timestamp("day"))
+    assert {r.platform: (r.active_weeks, r.ok) for r in C.weekly_activity(df, "platform", "ts", 3).collect()} == {"a": (3, True), "b": (3, False), "c": (2, False)}
+
+
 def test_rouge_l_and_bleu(spark):
     p = spark.createDataFrame([("same", "a b c d e", "a b c d e"), ("half", "a x c y", "a b c d"), ("none", "", "a b")], "id string, candidate string, reference string")
     assert {r.id: r.f for r in G.rouge_l(p).collect()} == {"same": 1.0, "half": 0.5, "none": 0.0}

@@ -18,6 +18,12 @@ def test_stream_equals_batch_and_redelivery_adds_nothing(spark, tmp_path):
     assert upsert(H.with_week(keyed(batch)), out, "post") == 0
 
 
+def test_every_message_of_a_thread_is_kept_by_default(spark, tmp_path):
+    rows = spark.createDataFrame([(1, 0, "a"), (1, 1, "b"), (1, 1, "b"), (2, 0, "c")], "thread_id long, turn long, text string")
+    later = spark.createDataFrame([(1, 1, "b"), (1, 2, "d")], "thread_id long, turn long, text string")
+    assert [upsert(x, str(tmp_path / "t")) for x in (rows, rows, later)] == [3, 0, 1]
+
+
 def test_weekly_counts_of_a_stream(spark, tmp_path):
     src = str(tmp_path / "in")
     batch = posts(spark, SF)
