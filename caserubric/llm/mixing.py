@@ -140,8 +140,9 @@ def mix(docs: DataFrame, weights: tuple[float, ...] = (5, 2, 1), share: float =
 
 
 def repeated(docs: DataFrame, mixed: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """docs with each document as often as mixed takes it; the columns of docs. Rows repeated in full are drawn together."""
+    """docs with each document as often as mixed takes it; the columns of docs, whatever their names. Rows of one id and text are drawn together."""
     key = F.xxhash64(F.col(id_col), F.coalesce(F.col(text_col), F.lit("")))
-    times = mixed.groupBy("key").agg(F.sum("copies").cast("int").alias("_copies")).where("_copies > 0").withColumnRenamed("key", "_key")
-    joined = docs.withColumn("_key", key).join(times, "_key").dropDuplicates(["_key"])
-    return joined.withColumn("_copy", F.explode(F.sequence(F.lit(1), F.col("_copies")))).select(*[F.col(f"`{c}`") for c in docs.columns])
+    times = mixed.groupBy("key").agg(F.sum("copies").cast("int").alias("copies")).where("copies > 0")
+    rows = docs.select(key.alias("key"), F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"))
+    joined = rows.join(times, "key").dropDuplicates(["key"])
+    return joined.select("row", F.explode(F.sequence(F.lit(1), F.col("copies")))).select("row.*")

@@ -105,6 +105,8 @@ def pack(docs: DataFrame, capacity: int = CAPACITY, id_col: str = "doc_id", text
     kind = docs.select(id_col).schema[0].dataType.simpleString()
     rows = publish(docs.select(F.col(id_col).alias("id"), F.col(source_col).alias("source"), group.alias("cluster"), F.size(words(F.col(text_col))).cast("long").alias("size"), F.xxhash64(F.col(id_col), text).alias("key")), "sizes")
     shards = max(1, math.ceil(rows.count() / SHARD_DOCS))
-    rows = rows.withColumn("shard", F.pmod(F.xxhash64("key", F.monotonically_increasing_id()), F.lit(shards)))
+    # Rows repeated in full are counted, then numbered, so that they are dealt to all shards, and alike in every run.
+    each = rows.groupBy(*rows.columns).agg(F.count(F.lit(1)).alias("n")).withColumn("no", F.explode(F.sequence(F.lit(1).cast("long"), F.col("n"))))
+    rows = each.select(*rows.columns, F.pmod(F.xxhash64("key", "no"), F.lit(shards)).alias("shard"))
     out = rows.groupBy("shard").applyInPandas(packer(capacity), f"id {kind}, source string, cluster long, piece long, start_word long, n_words long, bin long, bin_words long")
     return out.withColumnRenamed("id", id_col)

@@ -209,7 +209,9 @@ def tiff_images(data: bytes) -> Iterator[tuple[dict, np.ndarray]]:
         if 324 in tags:
             tw, th, offsets, counts = one(322), one(323), tags[324], tags[325]
         else:
-            tw, th, offsets, counts = width, min(one(278, height), height), tags.get(273, []), tags.get(279, [])
+            tw, th, offsets, counts = width, min(one(278, height) or 0, height), tags.get(273, []), tags.get(279, [])
+        if not tw or not th:
+            raise ValueError("strips or tiles without a size")
         across, down = -(-width // tw), -(-height // th)
         if len(offsets) != across * down or len(counts) != len(offsets):
             raise ValueError("strips or tiles are missing")

@@ -95,6 +95,69 @@ def test_tiff_pages_and_faults(spark):
     assert got[1, True] == 2 and got[2, False] == got[3, False] == got[4, False] == 1
 
 
+def test_packbits_and_lzw_on_known_bytes():
+    """Vectors worked out by hand from the rules of the format, not by this encoder."""
+    packed = bytes.fromhex("FEAA0280002AFDAA0380002A22F7AA80")
+    assert tiff.packbits_decode(packed) == bytes.fromhex("AAAAAA80002AAAAAAAAA80002A22") + b"\xaa" * 10
+    # clear, 7, 258 (7 7), 8, 8, 258, end: nine bits each, the highest bit first
+    codes = "".join(f"{c:09b}" for c in (256, 7, 258, 8, 8, 258, 257))
+    assert tiff.lzw_decode(int(codes.ljust(64, "0"), 2).to_bytes(8, "big")) == bytes([7, 7, 7, 8, 8, 7, 7])
+
+
+def test_layout_faults_are_rows(spark):
+    import struct
+
+    def broken(tile, tag):
+        data = bytearray(tiff.encode_tiff(bytes(192 * 4), tile=tile))
+        at = struct.unpack_from("<I", data, 4)[0]
+        for k in range(struct.unpack_from("<H", data, at)[0]):
+            if struct.unpack_from("<H", data, at + 2 + 12 * k)[0] == tag:
+                struct.pack_into("<I", data, at + 10 + 12 * k, 0)
+        return bytes(data)
+
+    files = [(1, broken(0, 278)), (2, broken(16, 322)), (3, broken(16, 323)), (4, broken(0, 256)), (5, tiff.encode_tiff(bytes(192)))]
+    got = {r.doc_id: r.error for r in tiff.tiff_pages(spark.createDataFrame(files, "doc_id long, media binary")).collect()}
+    assert got.pop(5) is None and len(got) == 4 and all(got.values())
+
+
+def test_packing_is_the_same_in_every_layout(spark):
+    rows = [(k % 300, f"w{k % 300} " * (k % 40), f"s{k % 5}") for k in range(900)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, source string")
+    runs = [sorted(map(repr, packing.pack(docs.repartition(n), capacity=50).collect())) for n in (1, 7)]
+    assert runs[0] == runs[1]
+
+
+def test_best_fit_against_trying_every_bin():
+    rng = random.Random(8)
+    for _ in range(30):
+        n = 60
+        sizes = sorted((rng.randrange(1, 40) for _ in range(n)), reverse=True)
+        sources, clusters = [1 << rng.randrange(4) for _ in range(n)], [rng.choice([0, 1, 2]) for _ in range(n)]
+        bins, want = [], []
+        for s, a, c in zip(sizes, sources, clusters, strict=True):
+            fits = [b[0] for b in bins if b[0] >= s and not b[1] & a and not b[2] & c]
+            want.append(min(fits, default=None))
+            chosen = next((b for b in bins if fits and b[0] == min(fits) and not b[1] & a and not b[2] & c), None)
+            if chosen is None:
+                chosen = [40, 0, 0]
+                bins.append(chosen)
+            chosen[0], chosen[1], chosen[2] = chosen[0] - s, chosen[1] | a, chosen[2] | c
+        got, rest = packing.best_fit(sizes, sources, clusters, 40), {}
+        for s, a, c, k in zip(sizes, sources, clusters, got, strict=True):
+            left, mask, held = rest.get(k, (40, 0, 0))
+            tightest = min((r for b, (r, m, h) in rest.items() if r >= s and not m & a and not h & c), default=None)
+            assert (left == tightest if k in rest else tightest is None) and not mask & a and not held & c and left >= s
+            rest[k] = (left - s, mask | a, held | c)
+        assert all(r >= 0 for r, _, _ in rest.values())
+
+
+def test_repeated_takes_any_column_names(spark):
+    docs = spark.createDataFrame([(k, "w " * 5, "s", k, 1) for k in range(30)] + [(None, None, None, 3, 2)], "doc_id long, text string, source string, key int, `_copies` int")
+    m = mixing.mix(docs.select("doc_id", "text", "source"))
+    out = mixing.repeated(docs, m)
+    assert out.columns == docs.columns and out.count() == sum(r.copies for r in m.collect())
+
+
 def test_tiff_contract(spark):
     r = tiff.store_texts(spark.createDataFrame([(1, "héllo"), (2, None)], "doc_id long, text string")).orderBy("doc_id").collect()
     raw = "héllo".encode().ljust(192)
