@@ -20,7 +20,6 @@ from dataclasses import dataclass
 from functools import cached_property
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame, Window
@@ -31,6 +30,8 @@ from .repeats import hashed_runs
 
 SKETCH_WORDS = 16  # of 64 bits
 SENT_CLASSES = 400_000  # classes whose sketches, some 60 MB, may be sent to all executors; more are joined by shuffles
+HUB_PAIRS = 1000  # pairs that are checked exactly by one class's set in a part
+KEY_WORDS = 1 << 20  # words of 64 bits of the bitmap that tells which texts are wanted
 
 
 @dataclass(frozen=True)
@@ -253,15 +254,47 @@ def close_pairs(rule: Overlap):
 
 
 def sets_of(rule: Overlap):
+    """(name, text, to) to (name, shingles, to)."""
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         codes = ByteCodes()
         for batch in batches:
             sets = [shingles(x.as_py(), codes, rule.width) for x in batch.column("text").cast(pa.binary())]
-            yield pa.RecordBatch.from_arrays([batch.column("name"), pa.array([s.tobytes() for s in sets], pa.binary())], ["name", "shingles"])
+            yield pa.RecordBatch.from_arrays([batch.column("name"), pa.array([s.tobytes() for s in sets], pa.binary()), batch.column("to")], ["name", "shingles", "to"])
 
     return run
 
 
+def linked(rule: Overlap):
+    """(hub, part, member, name, shingles) sorted by the first three, to the linked pairs (a, b); the hub's own set comes first in each part."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        at, own = None, np.empty(0, np.uint64)
+        for batch in batches:
+            out = []
+            for hub, part, member, name, raw in zip(*(batch.column(c).to_pylist() for c in ("hub", "part", "member", "name")), batch.column("shingles"), strict=True):
+                s = np.frombuffer(raw.as_py(), np.uint64)
+                if not member:
+                    at, own = (hub, part), s
+                    continue
+                if at != (hub, part):
+                    raise ValueError(f"class {hub} has no set")
+                both = len(np.intersect1d(own, s, assume_unique=True))
+                if rule.den * both >= rule.num * (len(own) + len(s) - both):
+                    out.append((min(hub, name), max(hub, name)))
+            yield pa.RecordBatch.from_arrays([pa.array([x[j] for x in out], pa.int64()) for j in (0, 1)], ["a", "b"])
+
+    return run
+
+
+def perhaps_among(rows: DataFrame, wanted: DataFrame) -> DataFrame:
+    """rows without most of those whose (k1, k2) isn't wanted, by a bitmap of KEY_WORDS words at most, which is broadcast."""
+    bit = F.expr("shiftleft(1L, cast(k2 & 63 as int))")
+    word = F.pmod("k1", F.lit(KEY_WORDS))
+    bitmap = wanted.groupBy(word.alias("_word")).agg(F.bit_or(bit).alias("_bits"))
+    return rows.join(F.broadcast(bitmap), word == F.col("_word")).where(F.col("_bits").bitwiseAND(bit) != 0).drop("_word", "_bits")
+
+
 def sketches(classes: DataFrame) -> DataFrame:
     """(name, n, bits), marked for broadcast if there are few."""
     light = classes.select("name", "n", "bits")
@@ -275,21 +308,20 @@ def verified(pairs: DataFrame, rows: DataFrame, classes: DataFrame, rule: Overla
     far = F.aggregate(F.zip_with("bitsa", "bitsb", lambda x, y: F.bit_count(x.bitwiseXOR(y))), F.lit(0), lambda s, x: s + x)
     near = pairs.join(side("a"), "a").join(side("b"), "b").where((F.least("na", "nb") * rule.den >= F.greatest("na", "nb") * rule.num) & (far <= F.floor((rule.den - rule.num) * (F.col("na") + F.col("nb")) / (rule.den + rule.num))))
     near = publish(near.select("a", "b"), "near")
-    wanted = near.select(F.col("a").alias("name")).union(near.select(F.col("b").alias("name"))).distinct().join(classes.select("name", "key.k1", "key.k2"), "name")
-    texts = rows.select("k1", "k2", "text").join(publish(wanted, "wanted"), ["k1", "k2"]).groupBy("name").agg(F.any_value("text").alias("text"))
-    sets = publish(texts.mapInArrow(sets_of(rule), "name long, shingles binary"), "sets")
-
-    @F.pandas_udf("boolean")
-    def linked(x: pd.Series, y: pd.Series) -> pd.Series:
-        out = []
-        for p, q in zip(x, y, strict=True):
-            u, v = np.frombuffer(p, np.uint64), np.frombuffer(q, np.uint64)
-            both = len(u) + len(v) - len(np.union1d(u, v))
-            out.append(rule.den * both >= rule.num * (len(u) + len(v) - both))
-        return pd.Series(out, dtype=bool)
-
-    one = near.join(sets.select(F.col("name").alias("a"), F.col("shingles").alias("x")), "a").join(sets.select(F.col("name").alias("b"), F.col("shingles").alias("y")), "b")
-    return publish(one.where(linked("x", "y")).select("a", "b"), "links")
+    # each pair meets at the end that has more pairs, its hub; parts of a hub hold some HUB_PAIRS pairs each
+    ends = near.select(F.explode(F.array("a", "b")).alias("name")).groupBy("name").agg(F.count(F.lit(1)).alias("n"))
+    end = lambda s: ends.select(F.col("name").alias(s), F.col("n").alias(f"n{s}"))
+    of_a = F.col("na") >= F.col("nb")
+    parts = F.floor(F.greatest("na", "nb") / HUB_PAIRS) + 1
+    met = near.join(end("a"), "a").join(end("b"), "b").select(F.when(of_a, F.col("a")).otherwise(F.col("b")).alias("hub"), F.when(of_a, F.col("b")).otherwise(F.col("a")).alias("name"), parts.alias("parts"))
+    met = publish(met.select("hub", "name", F.pmod(F.xxhash64("name"), "parts").alias("part")), "met")
+    to = lambda member: F.struct("hub", "part", F.lit(member).alias("member")).alias("to")
+    sent = met.select("name", to(True)).union(met.select("hub", "part").distinct().select(F.col("hub").alias("name"), to(False)))
+    wanted = publish(sent.groupBy("name").agg(F.collect_list("to").alias("to")).join(classes.select("name", "key.k1", "key.k2"), "name"), "wanted")
+    texts = perhaps_among(rows.select("k1", "k2", "text"), wanted).join(wanted, ["k1", "k2"]).groupBy("k1", "k2", "name").agg(F.any_value("text").alias("text"), F.any_value("to").alias("to")).select("name", "text", "to")
+    sets = texts.mapInArrow(sets_of(rule), "name long, shingles binary, to array<struct<hub: long, part: long, member: boolean>>")
+    spread = sets.select("name", "shingles", F.explode("to").alias("to")).select("to.hub", "to.part", "to.member", "name", "shingles")
+    return publish(spread.repartition("hub", "part").sortWithinPartitions("hub", "part", "member").mapInArrow(linked(rule), "a long, b long"), "links")
 
 
 def near_duplicates(docs: DataFrame, rule: Overlap = Overlap(), id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
