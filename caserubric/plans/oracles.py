@@ -190,6 +190,10 @@ put("threshold_sweep", "SELECT a AS tau_inf, b AS tau_align, count(*) FILTER (s_
 put("audit_support", f"SELECT thread_id, len(el) AS n_elements, len(list_filter(el, lambda x: {(bad := f'len({CONTENT.format("x")}) > 0 AND len(list_intersect({CONTENT.format("x")}, own)) < len({CONTENT.format("x")})')})) AS n_fabricated, len(list_filter(el, lambda x: {bad})) = 0 AS supported FROM (SELECT f.thread_id, list_concat(f.facts, list_filter({first_seen('ax')}, lambda x: NOT list_contains(f.facts, x))) AS el, {CONTENT.format('f.thread_text')} AS own FROM (SELECT fw.*, CASE WHEN fw.thread_id % 2 = 0 AND o.advice[1] IS NOT NULL THEN list_append(fw.advice, o.advice[1]) ELSE fw.advice END AS ax FROM fw LEFT JOIN fw o ON o.thread_id = fw.thread_id + 1) f WHERE forwarded)", THREADS)
 put("curation_funnel", """, pl AS (SELECT fw.thread_id, CASE WHEN NOT forwarded THEN 1 WHEN s_cc <> 1 THEN 2 WHEN s_inf <= 0.5 THEN 3 WHEN vetoed THEN 4 WHEN NOT keep THEN 5 WHEN bad > 0 THEN 6 ELSE 7 END AS place FROM fw LEFT JOIN va USING (thread_id) LEFT JOIN au1 USING (thread_id))
 SELECT k AS step, ['threads', 'screen', 'complaint', 'sufficiency', 'veto', 'alignment', 'audit'][k + 1] AS stage, count(*) FILTER (place > k) AS remaining FROM pl CROSS JOIN (SELECT CAST(range AS INTEGER) AS k FROM range(7)) GROUP BY k""".lstrip(), THREADS, SUFF, EVIDENCE, AUDIT)
+PLACE = ", pl AS (SELECT fw.thread_id, CASE WHEN NOT forwarded THEN 1 WHEN s_cc <> 1 THEN 2 WHEN s_inf <= 0.5 THEN 3 WHEN vetoed THEN 4 WHEN NOT keep THEN 5 WHEN bad > 0 THEN 6 ELSE 7 END AS place FROM fw LEFT JOIN va USING (thread_id) LEFT JOIN au1 USING (thread_id))"
+put("curation_rejects", "SELECT thread_id, ['screen', 'complaint', 'sufficiency', 'veto', 'alignment', 'audit'][place] AS reason FROM pl WHERE place < 7", THREADS, SUFF, EVIDENCE, AUDIT, PLACE[2:])
+put("note_sections", "SELECT thread_id, len(facts) AS n_s, len(list_filter(facts, lambda x: regexp_matches(x, '[0-9]'))) AS n_o, len(advice) - 1 AS n_p, advice[1] AS assessment FROM fw WHERE forwarded", THREADS)
+put("fold_strictest", "SELECT thread_id, min(verdict) AS s_align, bool_or(verdict = 0) AS vetoed FROM ve GROUP BY thread_id", THREADS, SUFF, EVIDENCE)
 put("curated_cases", "SELECT fw.thread_id AS case_id, array_to_string(facts, '. ') AS narrative, query, array_to_string(advice, '. ') AS advice FROM fw JOIN va USING (thread_id) JOIN au1 USING (thread_id) WHERE keep AND bad = 0", THREADS, SUFF, EVIDENCE, AUDIT)
 DENSE = "dn AS (SELECT q.vec_id AS q_id, v.vec_id AS doc_id, q.label AS ql, v.label AS dl, round(list_dot_product(CAST(q.embedding AS DOUBLE[]), CAST(v.embedding AS DOUBLE[])), 6) AS score FROM embeddings q JOIN embeddings v ON q.vec_id <> v.vec_id WHERE q.vec_id % 10 = 0), dk AS (SELECT *, row_number() OVER (PARTITION BY q_id ORDER BY score DESC, doc_id) AS rank FROM dn QUALIFY rank <= 5)"
 put("evidence_topk_dense", "SELECT q_id, doc_id, CAST(rank AS BIGINT) AS rank, score FROM dk", DENSE)
@@ -197,6 +201,10 @@ put("retrieval_precision", "SELECT count(*) AS n, round(avg(CAST(ql = dl AS INTE
 put("rubric_text", "SELECT * FROM ru", THREADS, RUBRIC)
 put("rubric_star", "SELECT axis, count(*) AS n, CAST(sum(weight) AS BIGINT) AS weights, count(*) FILTER (weight < 0) AS negative FROM cr GROUP BY axis", STAR)
 put("rubric_violations", "SELECT 'no positive' AS violation, count(*) AS n FROM (SELECT case_id FROM cr GROUP BY case_id HAVING max(weight) <= 0) HAVING count(*) > 0", STAR)
+put("rubric_text_violations", """SELECT violation, count(*) AS n FROM (
+  SELECT unnest(list_filter([CASE WHEN weight IS NULL OR abs(weight) > 10 THEN 'range' END, CASE WHEN weight = 0 THEN 'zero' END, CASE WHEN sign(weight) <> polarity THEN 'sign' END], lambda x: x IS NOT NULL)) AS violation FROM ru
+  UNION ALL SELECT 'no positive' FROM ru GROUP BY case_id HAVING coalesce(max(weight), 0) <= 0
+  UNION ALL SELECT 'duplicate' FROM ru GROUP BY case_id, criterion HAVING count(*) > 1) GROUP BY violation""", THREADS, RUBRIC)
 put("unique_criteria", "SELECT md5(lower(trim(criterion))) AS criterion_hash, count(*) AS uses, min(case_id) AS first_case FROM ru GROUP BY 1", THREADS, RUBRIC)
 put("case_scores", "SELECT model_id, CAST(sum(got) AS BIGINT) AS got, CAST(sum(possible) AS BIGINT) AS possible, count(score) AS n_scored, count(*) FILTER (raw < 0) AS clipped, round(avg(raw), 6) AS raw, round(avg(score), 6) AS score FROM s GROUP BY model_id", STAR)
 put("leaderboard", "SELECT *, rank() OVER (ORDER BY score DESC) AS rank FROM board", STAR)

@@ -225,6 +225,26 @@ def curation_funnel(spark, d):
     return U.curate(messages(spark, d), passages(spark, d)).funnel
 
 
+@query
+def note_sections(spark, d):
+    """The four parts of each thread's note, by their sizes and the text of the assessment."""
+    note = U.note_sections(F.col("facts"), F.col("advice"))
+    rows = screened(spark, d).where("forwarded").select("thread_id", note.alias("note"))
+    return rows.select("thread_id", *[F.size(F.col("note")[k]).cast("long").alias(f"n_{k.lower()}") for k in "SOP"], F.get(F.col("note")["A"], F.lit(0)).alias("assessment"))
+
+
+@query
+def fold_strictest(spark, d):
+    """Alignment by the worst verdict instead of the mean."""
+    advice, p = U.advice_rows(screened(spark, d)), passages(spark, d)
+    return U.fold(U.verdicts(advice, U.bm25(advice, p, 5, qid=["thread_id", "advice_no"], qtext="advice_text"), p), "min")
+
+
+@query
+def curation_rejects(spark, d):
+    return U.curate(messages(spark, d), passages(spark, d)).rejects
+
+
 @query
 def curated_cases(spark, d):
     return U.curate(messages(spark, d), passages(spark, d)).cases
@@ -274,6 +294,12 @@ def rubric_violations(spark, d):
     return R.check_rubric(star_criteria(spark, d).withColumn("polarity", F.signum(F.col("weight").cast("double")).cast("int"))).groupBy("violation").agg(F.count(F.lit(1)).alias("n"))
 
 
+@query
+def rubric_text_violations(spark, d):
+    """The checks on the criteria that are built from texts: equal criteria of a case are its usual fault."""
+    return R.check_rubric(R.build_rubric(screened(spark, d))).groupBy("violation").agg(F.count(F.lit(1)).alias("n"))
+
+
 @query
 def unique_criteria(spark, d):
     return R.unique_criteria(R.build_rubric(screened(spark, d)))
