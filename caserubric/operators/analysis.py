@@ -56,6 +56,30 @@ def drop_significance(scores: DataFrame, models: DataFrame) -> DataFrame:
     return g.select("model_id", F.col("n0").alias("n_pre"), F.col("n1").alias("n_post"), F.round((F.col("m1") - F.col("m0")) / F.sqrt(e0 + e1), 4).alias("t"), F.round((e0 + e1) ** 2 / (e0**2 / (F.col("n0") - 1) + e1**2 / (F.col("n1") - 1)), 2).alias("df"))
 
 
+# The distribution function of the Poisson law of mean 1, at 0 to 6.
+POISSON = (0.367879, 0.735759, 0.919699, 0.981012, 0.996340, 0.999406, 0.999917)
+
+
+def drop_bootstrap(scores: DataFrame, models: DataFrame, b: int = 100, blocks: int = 256, seed: int = 0) -> DataFrame:
+    """model_id, low, mid, high, p: the middle and the 95 per cent interval of the drop after the cutoff over b resamples, and the share of them without a drop.
+
+    Cases are dealt to blocks by a hash and added up by block first, so what is resampled is models * blocks * b rows at any
+    size. A block's weight in a resample follows a Poisson law and is the same for all models, which pairs them.
+    """
+    s = scores.where("score is not null").join(effective_cutoff(models), "model_id")
+    late = F.when(F.col("published") > F.col("eff"), F.col("score"))
+    block = (X.bucket_hash(F.col("case_id").cast("string")) % blocks).cast("long")
+    part = s.groupBy("model_id", block.alias("block")).agg(F.count(F.lit(1)).alias("n"), F.sum("score").alias("s"), F.count(late).alias("n1"), F.coalesce(F.sum(late), F.lit(0.0)).alias("s1"))
+    cell = scores.sparkSession.range(blocks * b).select((F.col("id") % blocks).alias("block"), F.floor(F.col("id") / blocks).alias("rep"))
+    h = X.bucket_hash(F.concat_ws(":", F.lit(str(seed)), F.col("block").cast("string"), F.col("rep").cast("string")))
+    times = sum(((h >= int(c * (1 << 24))).cast("int") for c in POISSON), F.lit(0))
+    draws = cell.select("block", "rep", times.alias("k")).where("k > 0")  # blocks * b rows at most
+    mean = lambda total, n: F.try_divide(F.sum(F.col("k") * F.col(total)), F.sum(F.col("k") * F.col(n)))
+    each = part.join(F.broadcast(draws), "block").groupBy("model_id", "rep").agg((mean("s1", "n1") - mean("s", "n")).alias("d"))
+    at = lambda q: F.round(F.percentile("d", F.lit(q)), 6)
+    return each.groupBy("model_id").agg(at(0.025).alias("low"), at(0.5).alias("mid"), at(0.975).alias("high"), rounded(F.avg((F.col("d") >= 0).cast("double"))).alias("p"))
+
+
 def score_by_quarter(scores: DataFrame, overlap: int = 2) -> DataFrame:
     """quarter, n, mean, moving (over this and the `overlap - 1` quarters before)."""
     q = scores.where("score is not null").groupBy(F.trunc("published", "quarter").alias("quarter")).agg(F.count(F.lit(1)).alias("n"), F.sum("score").alias("s"))
@@ -188,6 +212,14 @@ def pearson_test(df: DataFrame, x: str, y: str) -> DataFrame:
     return one.select("n", rounded(F.col("r")).alias("r"), p("r", F.col("n").cast("int")).alias("p"))
 
 
+def pearson_pairs(scores: DataFrame, model: str = "model_id") -> DataFrame:
+    """a, b, n, r, t of every two models over their common cases; t has n - 2 degrees of freedom and is null where r is 1 or undefined."""
+    rows = scores.where("score is not null").groupBy("case_id").agg(F.sort_array(F.collect_list(F.struct(F.col(model).alias("m"), "score"))).alias("s"))
+    pair = rows.select(F.explode("s").alias("x"), "s").select("x", F.explode(F.filter("s", lambda y: y["m"] > F.col("x.m"))).alias("y"))
+    g = pair.groupBy(F.col("x.m").alias("a"), F.col("y.m").alias("b")).agg(F.count(F.lit(1)).alias("n"), F.round(F.corr("x.score", "y.score"), 5).alias("r"))
+    return g.withColumn("t", F.round(F.col("r") * F.sqrt(F.try_divide((F.col("n") - 2).cast("double"), 1 - F.col("r") * F.col("r"))), 3))
+
+
 def score_histogram(scores: DataFrame, bins: int = 10) -> DataFrame:
     b = F.least(F.floor(F.col("score") * bins), F.lit(bins - 1)).cast("long")
     return scores.where("score is not null").groupBy(b.alias("bin")).agg(F.count(F.lit(1)).alias("n"))

@@ -117,6 +117,15 @@ def fuse_ranks(lists: list[DataFrame], qid: list[str], k: int, c: int = 60) -> D
     return scored.withColumn("rank", rank).where(F.col("rank") <= k)
 
 
+def per_source(queries: DataFrame, corpora: dict[str, DataFrame], k: int, **names) -> DataFrame:
+    """source and the hits of bm25 in each of several corpora, which keep their own statistics."""
+    out = None
+    for source, corpus in corpora.items():
+        hits = bm25(queries, corpus, k, **names).withColumn("source", F.lit(source))
+        out = hits if out is None else out.unionByName(hits)
+    return out
+
+
 def verdicts(advice: DataFrame, hits: DataFrame, passages: DataFrame, tau_s: float = 0.4, tau_c: float = 0.6) -> DataFrame:
     """thread_id, advice_no, verdict in {0, 0.5, 1}: contradicted by a covering toxic passage, else supported by a clean one, else neutral."""
     named = hits.select("thread_id", "advice_no", "doc_id").join(passages.select("doc_id", X.content("text").alias("pc"), "toxic"), "doc_id")

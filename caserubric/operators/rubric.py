@@ -89,4 +89,4 @@ def synthetic_responses(screened: DataFrame) -> DataFrame:
 def perturb(text: Column, seed: int = 7) -> Column:
     """Drop about one token in eight and keep the rest in order: a rewritten but not a newer case."""
     toks = F.split(text, " ")
-    return F.array_join(F.filter(toks, lambda t: F.pmod(F.xxhash64(t, F.lit(seed)), F.lit(8)) != 0), " ")
+    return F.array_join(F.filter(toks, lambda t: X.bucket_hash(F.concat(F.lit(f"{seed}:"), t)) % 8 != 0), " ")

@@ -3,8 +3,9 @@
 from __future__ import annotations
 
 from ..functions.text import LANGUAGE_WORDS, MEDIA
+from ..operators.analysis import POISSON
 from ..tables import MODELS, RISING
-from .queries import FEATURES
+from .queries import FEATURES, KINDS
 
 ORACLES: dict[str, str] = {}
 
@@ -301,3 +302,28 @@ ORACLES["curation_funnel"] = ORACLES["curation_funnel"].replace("\n, pl AS", ",\
 agents = {"screen": ("screener", 4), "audit": ("controller", 4)}
 tier = lambda i: " ".join(f"WHEN '{k}' THEN {v[i]!r}" for k, v in agents.items())
 put("cascade_cost", f"SELECT stage, CASE stage {tier(0)} ELSE 'validator' END AS agent, CAST(CASE stage {tier(1)} ELSE 120 END AS INTEGER) AS params_b, calls, flat_calls FROM (SELECT *, lag(remaining) OVER (ORDER BY step) AS calls, max(remaining) OVER () AS flat_calls FROM ({ORACLES['curation_funnel']})) WHERE step > 0")
+SOURCES = f"""
+ep0 AS (SELECT doc_id, {TOK.format('text')} AS t FROM documents JOIN labels USING (doc_id) WHERE quality = 1),
+ep AS (SELECT doc_id, t, CAST(doc_id % {len(KINDS)} AS INTEGER) AS kind FROM ep0 UNION ALL SELECT doc_id, t, {len(KINDS)} FROM ep0),
+est AS (SELECT kind, count(*) AS n, avg(len(t)) AS mean FROM ep GROUP BY kind),
+etf AS (SELECT kind, doc_id, len, term, count(*) AS c FROM (SELECT kind, doc_id, len(t) AS len, unnest(t) AS term FROM ep) GROUP BY ALL),
+edf AS (SELECT kind, term, count(*) AS d FROM etf GROUP BY kind, term),
+ev AS (SELECT kind, term, doc_id, CAST(floor(ln(1 + (n - d + 0.5::DOUBLE) / (d + 0.5::DOUBLE)) * (c * 2.2::DOUBLE / (c + 1.2::DOUBLE * (0.25::DOUBLE + 0.75::DOUBLE * len / mean))) * 1000 + 0.5::DOUBLE) AS BIGINT) AS v FROM etf JOIN edf USING (kind, term) JOIN est USING (kind)),
+eq AS (SELECT thread_id, unnest(list_distinct({TOK.format('query')})) AS term FROM fw WHERE forwarded),
+eh AS (SELECT kind, thread_id, doc_id, CAST(sum(v) AS BIGINT) AS score FROM eq JOIN ev USING (term) GROUP BY ALL),
+ek AS (SELECT *, row_number() OVER (PARTITION BY kind, thread_id ORDER BY score DESC, doc_id) AS rank FROM eh QUALIFY rank <= 5)
+"""
+put("evidence_by_source", f"SELECT {list(KINDS)}[kind + 1] AS source, thread_id, rank, doc_id, score FROM ek WHERE kind < {len(KINDS)}", THREADS, SOURCES)
+put("evidence_fused", "SELECT thread_id, row_number() OVER (PARTITION BY thread_id ORDER BY f DESC, doc_id) AS rank, doc_id, round(f, 6) AS score FROM (SELECT thread_id, doc_id, round(sum(1.0::DOUBLE / (60 + rank)), 9) AS f FROM ek GROUP BY ALL) QUALIFY rank <= 5", THREADS, SOURCES)
+put("weekly_harvest", "SELECT thread_id, turn, platform, '2024-01-08' AS harvest_week FROM po WHERE posted_at >= TIMESTAMP '2024-01-08' AND posted_at < TIMESTAMP '2024-01-15'", POSTS)
+put("repeated_runs", "SELECT CAST(l_suppkey % 38 AS INTEGER) AS model_id, l_partkey AS item_id, count(*) AS n FROM lineitem GROUP BY ALL HAVING count(*) > 1")
+put("perturbed_cases", f"SELECT thread_id, length(x) AS chars, array_to_string(list_filter(string_split(x, ' '), lambda t: {HASH.format("'7:' || t")} % 8 <> 0), ' ') AS rewritten FROM (SELECT thread_id, array_to_string(facts, '. ') AS x FROM fw WHERE forwarded)", THREADS)
+put("pearson_pairs", "SELECT *, round(r * sqrt((n - 2) / nullif(1 - r * r, 0)), 3) AS t FROM (SELECT a.model_id AS a, b.model_id AS b, count(*) AS n, round(corr(a.score, b.score), 5) AS r FROM s a JOIN s b ON a.case_id = b.case_id AND a.model_id < b.model_id WHERE a.score IS NOT NULL AND b.score IS NOT NULL GROUP BY ALL)", STAR)
+weight = " + ".join(f"CAST(h >= {int(c * (1 << 24))} AS INTEGER)" for c in POISSON)
+BOOT = f"""
+bb AS (SELECT model_id, {HASH.format('CAST(case_id AS VARCHAR)')} % 256 AS block, count(*) AS n, sum(score) AS t, count(*) FILTER (published > eff) AS n1, coalesce(sum(score) FILTER (published > eff), 0) AS t1 FROM s WHERE score IS NOT NULL GROUP BY ALL),
+bw AS (SELECT block, rep, {weight} AS k FROM (SELECT x.range AS block, y.range AS rep, {HASH.format("'0:' || x.range || ':' || y.range")} AS h FROM range(256) x CROSS JOIN range(100) y)),
+bd AS (SELECT model_id, rep, sum(k * t1) / nullif(sum(k * n1), 0)::DOUBLE - sum(k * t) / nullif(sum(k * n), 0)::DOUBLE AS d FROM bb JOIN bw USING (block) WHERE k > 0 GROUP BY ALL)
+"""
+put("drop_bootstrap", "SELECT model_id, round(quantile_cont(d, 0.025), 6) AS low, round(quantile_cont(d, 0.5), 6) AS mid, round(quantile_cont(d, 0.975), 6) AS high, round(avg(CAST(d >= 0 AS INTEGER)), 6) AS p FROM bd GROUP BY model_id", STAR, BOOT)
+put("cascade_tokens", f"SELECT ['screen', 'complaint', 'sufficiency', 'veto', 'alignment', 'audit'][k] AS stage, count(*) FILTER (place >= k) AS calls, CAST(coalesce(sum(n) FILTER (place >= k), 0) AS BIGINT) AS tokens, CAST(coalesce(sum(n), 0) AS BIGINT) AS flat_tokens FROM (SELECT place, len({TOK.format('thread_text')}) AS n FROM pl JOIN fw USING (thread_id)) CROSS JOIN (SELECT range AS k FROM range(1, 7)) GROUP BY k", THREADS, SUFF, EVIDENCE, AUDIT, PLACE[2:])

@@ -137,6 +137,12 @@ def page_bodies(spark, d):
     return load(spark, d, "pages").select("page_id", F.length(p["body"]).cast("long").alias("chars"), F.md5(p["body"]).alias("body_md5"))
 
 
+@query
+def weekly_harvest(spark, d):
+    """The messages of one week."""
+    return C.harvest_week(posts(spark, d), "2024-01-08").select("thread_id", "turn", "platform", F.col("harvest_week").cast("string").alias("harvest_week"))
+
+
 @query
 def symbol_share(spark, d):
     return load(spark, d, "documents").select("doc_id", F.round(X.symbol_share("text"), 6).alias("share"), (X.symbol_share("text") < 0.5).alias("ok"))
@@ -250,6 +256,28 @@ def curated_cases(spark, d):
     return U.curate(messages(spark, d), passages(spark, d)).cases
 
 
+KINDS = ("guidelines", "abstracts", "textbooks")
+
+
+def source_hits(spark: SparkSession, d: str, whole: bool) -> DataFrame:
+    """Hits for each thread's question in three evidence sources, to which passages are dealt by number, and in all of them if asked."""
+    p = passages(spark, d)
+    corpora = {k: p.where(F.col("doc_id") % len(KINDS) == i) for i, k in enumerate(KINDS)} | ({"all": p} if whole else {})
+    return U.per_source(screened(spark, d).where("forwarded").select("thread_id", "query"), corpora, 5, qid=["thread_id"], qtext="query")
+
+
+@query
+def evidence_by_source(spark, d):
+    return source_hits(spark, d, False).select("source", "thread_id", F.col("rank").cast("long").alias("rank"), "doc_id", "score")
+
+
+@query
+def evidence_fused(spark, d):
+    """The lists of the three sources and of all passages, fused by reciprocal ranks."""
+    hits = source_hits(spark, d, True)
+    return U.fuse_ranks([hits], ["thread_id"], 5).select("thread_id", F.col("rank").cast("long").alias("rank"), "doc_id", F.round("score", 6).alias("score"))
+
+
 # --- dense retrieval ------------------------------------------------------------------------------------------------
 
 
@@ -375,6 +403,11 @@ def drop_significance(spark, d):
     return A.drop_significance(dated_scores(spark, d), models(spark))
 
 
+@query
+def drop_bootstrap(spark, d):
+    return A.drop_bootstrap(dated_scores(spark, d), models(spark))
+
+
 @query
 def score_by_quarter(spark, d):
     return A.score_by_quarter(dated_scores(spark, d))
@@ -475,6 +508,16 @@ def pearson_case(spark, d):
     return A.pearson_test(two_models(spark, d), "x", "y").select("n", "r")
 
 
+@query
+def pearson_significance(spark, d):
+    return A.pearson_test(two_models(spark, d), "x", "y")
+
+
+@query
+def pearson_pairs(spark, d):
+    return A.pearson_pairs(G.case_scores(star_judged(spark, d)))
+
+
 @query
 def sampled_cases(spark, d):
     return A.sample_cases(star_cases(spark, d).select("case_id", "theme"), 50)
@@ -529,11 +572,27 @@ def bleu_scores(spark, d):
     return G.bleu(answer_pairs(spark, d))
 
 
+def choices(spark, d):
+    return load(spark, d, "lineitem").select((F.col("l_suppkey") % 38).cast("int").alias("model_id"), F.col("l_partkey").alias("item_id"), (F.col("l_quantity").cast("int") % 4).alias("choice"))
+
+
+@query
+def repeated_runs(spark, d):
+    """Items that a model answered more than once, against the rule of one answer each."""
+    return G.check_runs(choices(spark, d), ("model_id", "item_id"))
+
+
+@query
+def perturbed_cases(spark, d):
+    """Each thread's facts, rewritten: seeds that stay as old as they were."""
+    text = F.array_join("facts", ". ")
+    return screened(spark, d).where("forwarded").select("thread_id", F.length(text).cast("long").alias("chars"), R.perturb(text).alias("rewritten"))
+
+
 @query
 def choice_accuracy(spark, d):
     key = load(spark, d, "part").select(F.col("p_partkey").alias("item_id"), (F.col("p_size") % 4).alias("right"))
-    given = load(spark, d, "lineitem").select((F.col("l_suppkey") % 38).cast("int").alias("model_id"), F.col("l_partkey").alias("item_id"), (F.col("l_quantity").cast("int") % 4).alias("choice"))
-    return G.choice_accuracy(given, key)
+    return G.choice_accuracy(choices(spark, d), key)
 
 
 # --- breakdown and errors -------------------------------------------------------------------------------------------
@@ -710,3 +769,10 @@ def cascade_cost(spark, d):
     from .cost import cost_report
 
     return cost_report(U.curate(messages(spark, d), passages(spark, d)).funnel)
+
+
+@query
+def cascade_tokens(spark, d):
+    from .cost import token_report
+
+    return token_report(screened(spark, d), U.curate(messages(spark, d), passages(spark, d)).rejects)
