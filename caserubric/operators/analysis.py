@@ -15,6 +15,13 @@ def rounded(c: Column) -> Column:
     return F.round(c, 6)
 
 
+def corr(x: Column, y: Column) -> Column:
+    """Pearson's r over the rows that have both; null where a side doesn't vary, for which Spark's own corr raises an error in ANSI mode."""
+    both = x.isNotNull() & y.isNotNull()
+    a, b = F.when(both, x.cast("double")), F.when(both, y.cast("double"))
+    return F.try_divide(F.covar_pop(a, b), F.stddev_pop(a) * F.stddev_pop(b))
+
+
 # --- temporal -------------------------------------------------------------------------------------------------------
 
 
@@ -207,7 +214,7 @@ def pearson_p(r: float | None, n: int) -> float | None:
 
 def pearson_test(df: DataFrame, x: str, y: str) -> DataFrame:
     """n, r, p; the sums are distributed, and p is worked out from the one row."""
-    one = df.where(F.col(x).isNotNull() & F.col(y).isNotNull()).agg(F.count(F.lit(1)).alias("n"), F.corr(x, y).alias("r"))
+    one = df.where(F.col(x).isNotNull() & F.col(y).isNotNull()).agg(F.count(F.lit(1)).alias("n"), corr(F.col(x), F.col(y)).alias("r"))
     p = F.udf(pearson_p, DoubleType())
     return one.select("n", rounded(F.col("r")).alias("r"), p("r", F.col("n").cast("int")).alias("p"))
 
@@ -216,7 +223,7 @@ def pearson_pairs(scores: DataFrame, model: str = "model_id") -> DataFrame:
     """a, b, n, r, t of every two models over their common cases; t has n - 2 degrees of freedom and is null where r is 1 or undefined."""
     rows = scores.where("score is not null").groupBy("case_id").agg(F.sort_array(F.collect_list(F.struct(F.col(model).alias("m"), "score"))).alias("s"))
     pair = rows.select(F.explode("s").alias("x"), "s").select("x", F.explode(F.filter("s", lambda y: y["m"] > F.col("x.m"))).alias("y"))
-    g = pair.groupBy(F.col("x.m").alias("a"), F.col("y.m").alias("b")).agg(F.count(F.lit(1)).alias("n"), F.round(F.corr("x.score", "y.score"), 5).alias("r"))
+    g = pair.groupBy(F.col("x.m").alias("a"), F.col("y.m").alias("b")).agg(F.count(F.lit(1)).alias("n"), F.round(corr(F.col("x.score"), F.col("y.score")), 5).alias("r"))
     return g.withColumn("t", F.round(F.col("r") * F.sqrt(F.try_divide((F.col("n") - 2).cast("double"), 1 - F.col("r") * F.col("r"))), 3))
 
 
@@ -254,7 +261,7 @@ def group_correlation(matrix: DataFrame, group: str) -> DataFrame:
     """g1 < g2, r over models."""
     a = matrix.select("model_id", F.col(group).alias("g1"), F.col("score").alias("s1"))
     b = matrix.select("model_id", F.col(group).alias("g2"), F.col("score").alias("s2"))
-    return a.join(b, "model_id").where("g1 < g2").groupBy("g1", "g2").agg(F.round(F.corr("s1", "s2"), 5).alias("r"))
+    return a.join(b, "model_id").where("g1 < g2").groupBy("g1", "g2").agg(F.round(corr(F.col("s1"), F.col("s2")), 5).alias("r"))
 
 
 def class_contrast(board: DataFrame, models: DataFrame) -> DataFrame:

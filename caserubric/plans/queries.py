@@ -543,7 +543,7 @@ def judged_twice(spark, d):
 @query
 def length_bias(spark, d):
     t = judged_twice(spark, d).withColumn("l", F.log(1.0 + F.col("len")))
-    return t.agg(F.count("rubric").alias("n"), F.round(F.corr("rubric", "l"), 5).alias("rubric_r"), F.round(F.corr("holistic", "l"), 5).alias("holistic_r"))
+    return t.agg(F.count("rubric").alias("n"), F.round(A.corr(F.col("rubric"), F.col("l")), 5).alias("rubric_r"), F.round(A.corr(F.col("holistic"), F.col("l")), 5).alias("holistic_r"))
 
 
 @query
@@ -621,7 +621,7 @@ def specialty_correlation(spark, d):
 @query
 def prevalence_effect(spark, d):
     g = A.group_matrix(scored(spark, d), "specialty").groupBy("specialty").agg(F.sum("n").alias("n"), F.avg("score").alias("s"))
-    return g.agg(F.count(F.lit(1)).alias("groups"), F.round(F.corr(F.col("n").cast("double"), "s"), 5).alias("r"))
+    return g.agg(F.count(F.lit(1)).alias("groups"), F.round(A.corr(F.col("n"), F.col("s")), 5).alias("r"))
 
 
 @query

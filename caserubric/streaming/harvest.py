@@ -2,6 +2,10 @@
 
 from __future__ import annotations
 
+import json
+from collections.abc import Iterator
+
+import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.streaming import StreamingQuery
@@ -41,6 +45,44 @@ def distinct_posts(posts: DataFrame, ts: str = "posted_at") -> DataFrame:
     return timed(posts, ts).withColumn("content_key", F.xxhash64(F.lower("text"))).dropDuplicatesWithinWatermark(["content_key"])
 
 
+MESSAGES = "array<struct<turn: long, role: string, text: string>>"
+
+
+def closed_threads(posts: DataFrame, days: int = 14, ts: str = "posted_at", delay: str = "7 days") -> DataFrame:
+    """thread_id, messages in turn order, closed_at of each thread, once no message of it came for so many days of event time.
+
+    The columns are those that the screening takes. The state of a thread is its messages, which go when it closes; a
+    message that is delivered twice counts once, and one that comes after the thread closed opens it anew. Messages
+    without a thread or a time are left out; null texts and roles are kept.
+    """
+    span = days * 86_400_000
+
+    def close(key: tuple, frames: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
+        if state.hasTimedOut:
+            buffer, last = state.get
+            state.remove()
+            rows = sorted({(t, r, x) for t, r, x in json.loads(buffer)}, key=lambda m: (m[0], m[1] or "", m[2] or ""))
+            said = json.dumps([{"turn": t, "role": r, "text": x} for t, r, x in rows])
+            yield pd.DataFrame({"thread_id": [key[0]], "said": [said], "closed_at": [last + span]})
+            return
+        buffer, last = state.get if state.exists else ("[]", 0)
+        held = json.loads(buffer)
+        for frame in frames:
+            held += [[t, r, x] for t, r, x in zip(frame["turn"].tolist(), frame["role"].tolist(), frame["text"].tolist(), strict=True)]
+            last = max(last, int(frame["at"].max()))
+        state.update((json.dumps(held), last))
+        state.setTimeoutTimestamp(max(last + span, state.getCurrentWatermarkMs() + 1))
+
+    rows = timed(posts.where(F.col("thread_id").isNotNull() & F.col(ts).isNotNull()), ts, delay).select("thread_id", F.coalesce(F.col("turn"), F.lit(0)).cast("long").alias("turn"), "role", "text", ts, F.unix_millis(ts).alias("at"))
+    out = rows.groupBy("thread_id").applyInPandasWithState(close, "thread_id long, said string, closed_at long", "buffer string, last long", "append", "EventTimeTimeout")
+    return out.select("thread_id", F.from_json("said", MESSAGES).alias("messages"), F.timestamp_millis("closed_at").alias("closed_at"))
+
+
+def late_rows(query: StreamingQuery) -> int:
+    """Rows that came behind the watermark and were dropped, over the progress that the query keeps."""
+    return sum(s.numRowsDroppedByWatermark for p in query.recentProgress for s in p.stateOperators)
+
+
 def harvest_stream(posts: DataFrame, out: str, checkpoint: str, key: str | tuple[str, ...] = ("thread_id", "turn")) -> StreamingQuery:
     """Append what the index lacks, batch by batch. A batch that is delivered again after a failure adds nothing."""
 
