@@ -245,6 +245,12 @@ def group_matrix(scores: DataFrame, group: str) -> DataFrame:
     return scores.where("score is not null").groupBy("model_id", group).agg(rounded(F.avg("score")).alias("score"), F.count(F.lit(1)).alias("n"))
 
 
+def group_cube(scores: DataFrame, *groups: str) -> DataFrame:
+    """The groups (null for all), n, score, lowest and highest, for every combination of them, from one pass over the scores."""
+    out = scores.where("score is not null").cube(*groups).agg(F.count(F.lit(1)).alias("n"), rounded(F.avg("score")).alias("score"), rounded(F.min("score")).alias("lowest"), rounded(F.max("score")).alias("highest"))
+    return out.select(*groups, "n", "score", "lowest", "highest")
+
+
 def wide(matrix: DataFrame, group: str, values: list[str]) -> DataFrame:
     return matrix.groupBy("model_id").pivot(group, values).agg(F.first("score"))
 

@@ -58,10 +58,22 @@ def query_valid(query: Column) -> Column:
     return ((F.size(X.tokens(query)) >= 3) & (F.size(X.content(query)) >= 1) & X.language(query).isNotNull()).cast("int")
 
 
+def heads_of(facts: Column, prefix: int) -> Column:
+    """The first letters of the facts' content tokens."""
+    return F.array_distinct(F.transform(F.flatten(F.transform(facts, lambda s: X.content(s))), lambda t: F.substring(t, 1, prefix)))
+
+
+def requirements(screened: DataFrame, prefix: int = 3) -> DataFrame:
+    """thread_id, requirement, met: what the query of a forwarded thread asks for, and whether a fact speaks of it. Their share is the sufficiency."""
+    rows = X.fixed(screened.where("forwarded"), heads=heads_of(F.col("facts"), prefix))
+    need = rows.select("thread_id", "heads", F.explode(X.content("query")).alias("requirement"))
+    return need.select("thread_id", "requirement", F.array_contains("heads", F.substring("requirement", 1, prefix)).alias("met"))
+
+
 def sufficiency(query: Column, facts: Column, prefix: int = 3) -> Column:
     """Share of the query's content tokens that agree in their first letters with a token of a fact; 0 without any."""
     head = lambda t: F.substring(t, 1, prefix)
-    heads = F.array_distinct(F.transform(F.flatten(F.transform(facts, lambda s: X.content(s))), head))
+    heads = heads_of(facts, prefix)
     need = X.content(query)
     asked = F.transform(need, head)
     missing = F.array_except(asked, heads)

@@ -327,3 +327,5 @@ bd AS (SELECT model_id, rep, sum(k * t1) / nullif(sum(k * n1), 0)::DOUBLE - sum(
 """
 put("drop_bootstrap", "SELECT model_id, round(quantile_cont(d, 0.025), 6) AS low, round(quantile_cont(d, 0.5), 6) AS mid, round(quantile_cont(d, 0.975), 6) AS high, round(avg(CAST(d >= 0 AS INTEGER)), 6) AS p FROM bd GROUP BY model_id", STAR, BOOT)
 put("cascade_tokens", f"SELECT ['screen', 'complaint', 'sufficiency', 'veto', 'alignment', 'audit'][k] AS stage, count(*) FILTER (place >= k) AS calls, CAST(coalesce(sum(n) FILTER (place >= k), 0) AS BIGINT) AS tokens, CAST(coalesce(sum(n), 0) AS BIGINT) AS flat_tokens FROM (SELECT place, len({TOK.format('thread_text')}) AS n FROM pl JOIN fw USING (thread_id)) CROSS JOIN (SELECT range AS k FROM range(1, 7)) GROUP BY k", THREADS, SUFF, EVIDENCE, AUDIT, PLACE[2:])
+put("requirement_checklist", f"SELECT thread_id, requirement, list_contains(list_transform({CONTENT.format("array_to_string(facts, ' ')")}, lambda y: substr(y, 1, 3)), substr(requirement, 1, 3)) AS met FROM (SELECT thread_id, facts, unnest({CONTENT.format('query')}) AS requirement FROM fw WHERE forwarded)", THREADS)
+put("theme_cube", "SELECT theme, source, count(*) AS n, round(avg(score), 6) AS score, round(min(score), 6) AS lowest, round(max(score), 6) AS highest FROM s JOIN cs USING (case_id) WHERE score IS NOT NULL GROUP BY CUBE (theme, source)", STAR)

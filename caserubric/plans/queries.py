@@ -197,6 +197,11 @@ def narrative_sufficiency(spark, d):
     return s.select("thread_id", U.query_valid(F.col("query")).alias("s_cc"), F.round(U.sufficiency(F.col("query"), F.col("facts")), 6).alias("s_inf"))
 
 
+@query
+def requirement_checklist(spark, d):
+    return U.requirements(screened(spark, d))
+
+
 @query
 def evidence_topk_bm25(spark, d):
     hits = U.bm25(U.advice_rows(screened(spark, d)), passages(spark, d), 5, qid=["thread_id", "advice_no"], qtext="advice_text")
@@ -608,6 +613,11 @@ def theme_profile(spark, d):
     return A.group_matrix(scored(spark, d), "theme")
 
 
+@query
+def theme_cube(spark, d):
+    return A.group_cube(scored(spark, d), "theme", "source")
+
+
 @query
 def specialty_extremes(spark, d):
     return A.extremes(A.group_matrix(scored(spark, d), "specialty"), "specialty")

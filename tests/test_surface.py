@@ -5,6 +5,8 @@ from pyspark.sql import functions as F
 
 from caserubric.operators import agents as G
 from caserubric.operators import analysis as A
+from caserubric.operators import collection as C
+from caserubric.operators import curation as U
 from caserubric.operators import grading
 from caserubric.plans import sql
 from caserubric.plans.cost import plan_cost
@@ -88,3 +90,31 @@ def test_correlation_without_variance_is_null(spark):
     line = spark.createDataFrame([(1.0, 2.0), (2.0, 4.0), (3.0, 6.0), (9.0, None)], "x double, y double")
     r = A.pearson_test(line, "x", "y").first()
     assert (r.n, r.r) == (3, 1.0) and r.p < 1e-6
+
+
+def test_approximate_head_count_is_near_the_exact_one(spark):
+    seen = spark.range(20000).select((F.col("id") % 3).alias("platform"), (F.col("id") % 6001).alias("author"))
+    exact = {r.platform: r.n_verified for r in C.verified_count(seen, "platform", "author", 10).collect()}
+    rough = {r.platform: r.n_verified for r in C.verified_count(seen, "platform", "author", 10, approx=True).collect()}
+    assert exact.keys() == rough.keys() and all(abs(rough[k] - n) <= 0.1 * n for k, n in exact.items())
+
+
+def test_a_week_holds_its_first_instant_and_not_the_next_week(spark):
+    rows = spark.createDataFrame([(1, "2024-01-08 00:00:00"), (2, "2024-01-14 23:59:59"), (3, "2024-01-15 00:00:00"), (4, "2024-01-07 23:59:59"), (5, None)], "id int, t string").select("id", F.col("t").cast("timestamp").alias("posted_at"))
+    assert sorted((r.id, str(r.harvest_week)) for r in C.harvest_week(rows, "2024-01-08").collect()) == [(1, "2024-01-08"), (2, "2024-01-08")]
+
+
+def test_lists_of_several_sources_are_fused_by_rank(spark):
+    docs = spark.createDataFrame([(1, "rest and water"), (2, "rest"), (3, "water water"), (4, None)], "doc_id long, text string")
+    asked = spark.createDataFrame([(1, "water rest"), (2, "none"), (3, None)], "q_id long, q_text string")
+    hits = U.per_source(asked, {"odd": docs.where("doc_id % 2 = 1"), "even": docs.where("doc_id % 2 = 0"), "all": docs}, 2, qid=["q_id"])
+    assert {r.source for r in hits.collect()} == {"odd", "even", "all"} and {r.q_id for r in hits.collect()} == {1}
+    best = U.fuse_ranks([hits], ["q_id"], 1).first()
+    assert best.doc_id == 1 and abs(best.score - 2 / 61) < 1e-8
+
+
+def test_requirements_add_up_to_the_sufficiency(spark):
+    rows = spark.createDataFrame([(1, "does fever harm", ["Fevers since monday"], True), (2, "does fever harm", ["no"], False)], "thread_id int, query string, facts array<string>, forwarded boolean")
+    got = {r.requirement: r.met for r in U.requirements(rows).collect()}
+    assert got == {"does": False, "fever": True, "harm": False}
+    assert abs(rows.select(U.sufficiency(F.col("query"), F.col("facts")).alias("s")).first().s - 1 / 3) < 1e-9
