@@ -8,6 +8,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions import text as X
+from . import sparse as S
 
 
 def assemble_threads(messages: DataFrame, max_messages: int | None = None) -> DataFrame:
@@ -86,37 +87,17 @@ def advice_rows(screened: DataFrame) -> DataFrame:
 
 
 def bm25(queries: DataFrame, corpus: DataFrame, k: int = 5, k1: float = 1.2, b: float = 0.75, common: float = 0.05, qid: list[str] = ("q_id",), qtext: str = "q_text", did: str = "doc_id", dtext: str = "text") -> DataFrame:
-    """qid, doc_id, rank, score (in thousandths) by an inverted index and a join on terms.
+    """qid, doc_id, rank, score (in thousandths), shared by posting lists in shards.
 
-    Contributions are rounded to integers before they are added, so the order of addition doesn't matter.
-
-    Terms in more than the share `common` of the documents are joined last. The k-th best score by the other terms is a
-    lower bound of what ranks; where the largest contributions of a query's common terms add up to less, a document
-    without a rare term cannot rank, nor can one that is short of the bound by more than they add up to. Common terms then
-    meet those documents only. Queries for which that doesn't hold are joined on all terms, so that the result is exact.
+    Contributions are rounded to integers before they are added, so the order of addition doesn't matter. shared is the
+    number of the query's content tokens that the document holds. `common` is the share of a shard's documents from which
+    a list is held as a row over all of them; the result is the same for any.
     """
-    toks = corpus.select(F.col(did).alias("doc_id"), X.tokens(dtext).alias("t"))
-    stats = toks.agg(F.count(F.lit(1)).alias("n"), F.avg(F.size("t")).alias("mean"))
-    tf = toks.select("doc_id", F.size("t").alias("len"), F.explode("t").alias("term")).groupBy("doc_id", "len", "term").agg(F.count(F.lit(1)).alias("c"))
-    df = tf.groupBy("term").agg(F.count(F.lit(1)).alias("d"))
-    asked = queries.select(*qid, F.explode(F.array_distinct(X.tokens(qtext))).alias("term"))
-    need = asked.select("term").distinct().join(df, "term").join(F.broadcast(stats))  # stats is one row
-    live = tf.join(need, "term")
-    idf = F.log(1 + (F.col("n") - F.col("d") + F.lit(0.5)) / (F.col("d") + F.lit(0.5)))
-    part = F.col("c") * F.lit(k1 + 1) / (F.col("c") + F.lit(k1) * (F.lit(1 - b) + F.lit(b) * F.col("len") / F.col("mean")))
-    posting = live.select("term", "doc_id", F.floor(idf * part * 1000 + F.lit(0.5)).cast("long").alias("v"), (F.col("d") > common * F.col("n")).alias("common"))
-    often = posting.where("common").groupBy("term").agg(F.max("v").alias("most"))
-    asked = asked.join(often, "term", "left")
-    slack = asked.groupBy(*qid).agg(F.coalesce(F.sum("most"), F.lit(0)).alias("slack"))
-    rare = asked.where("most is null").join(posting.where("not common"), "term").groupBy(*qid, "doc_id").agg(F.sum("v").alias("part"))
-    rank = lambda by: F.row_number().over(Window.partitionBy(*qid).orderBy(F.col(by).desc(), "doc_id"))
-    floor = rare.withColumn("_r", rank("part")).where(F.col("_r") == k).select(*qid, F.col("part").alias("floor"))
-    plan = slack.join(floor, list(qid), "left").select(*qid, "slack", "floor", (F.coalesce("floor", F.lit(0)) > F.col("slack")).alias("sure"))
-    near = rare.join(plan.where("sure"), list(qid)).where(F.col("part") + F.col("slack") >= F.col("floor")).select(*qid, "doc_id", "part")
-    extra = near.join(asked.where("most is not null").select(*qid, "term"), list(qid)).join(posting.where("common").select("term", "doc_id", "v"), ["term", "doc_id"]).groupBy(*qid, "doc_id").agg(F.sum("v").alias("extra"))
-    first = near.join(extra, [*qid, "doc_id"], "left").select(*qid, "doc_id", (F.col("part") + F.coalesce("extra", F.lit(0))).alias("score"))
-    rest = asked.join(plan.where("not sure").select(*qid), list(qid)).select(*qid, "term").join(posting, "term").groupBy(*qid, "doc_id").agg(F.sum("v").alias("score"))
-    return first.unionByName(rest).withColumn("rank", rank("score")).where(F.col("rank") <= k)
+    rows = X.fixed(queries.select(*qid, F.col(qtext).alias("_text")), _tokens=F.array_distinct(X.tokens("_text")))
+    weighty = lambda x: F.length(x) >= 4
+    own = F.filter("_tokens", weighty)
+    asked = rows.select(*qid, F.size(own).alias("own"), F.concat(own, F.filter("_tokens", lambda x: ~weighty(x))).alias("t"))
+    return S.top_k(asked, corpus.select(F.col(did).cast("long").alias("doc_id"), X.tokens(dtext).alias("t")), list(qid), k, k1, b, common)
 
 
 def fuse_ranks(lists: list[DataFrame], qid: list[str], k: int, c: int = 60) -> DataFrame:
