@@ -121,9 +121,14 @@ def per_source(queries: DataFrame, corpora: dict[str, DataFrame], k: int, **name
 
 def verdicts(advice: DataFrame, hits: DataFrame, passages: DataFrame, tau_s: float = 0.4, tau_c: float = 0.6) -> DataFrame:
     """thread_id, advice_no, verdict in {0, 0.5, 1}: contradicted by a covering toxic passage, else supported by a clean one, else neutral."""
-    named = hits.select("thread_id", "advice_no", "doc_id").join(passages.select("doc_id", X.content("text").alias("pc"), "toxic"), "doc_id")
-    rows = advice.withColumn("ac", X.content("advice_text")).join(named, ["thread_id", "advice_no"], "left")
-    cover = X.coverage_of(F.col("ac"), F.col("pc"))
+    if "shared" in hits.columns:  # the search has counted already what the passage covers
+        named = hits.select("thread_id", "advice_no", "doc_id", "shared").join(passages.select("doc_id", "toxic"), "doc_id")
+        rows = advice.select("thread_id", "advice_no", F.size(X.content("advice_text")).alias("n")).join(named, ["thread_id", "advice_no"], "left")
+        cover = F.when(F.col("n") > 0, F.col("shared") / F.col("n")).otherwise(F.lit(0.0))
+    else:
+        named = hits.select("thread_id", "advice_no", "doc_id").join(passages.select("doc_id", X.content("text").alias("pc"), "toxic"), "doc_id")
+        rows = advice.withColumn("ac", X.content("advice_text")).join(named, ["thread_id", "advice_no"], "left")
+        cover = X.coverage_of(F.col("ac"), F.col("pc"))
     bad = F.max(F.when((F.col("toxic") == 1) & (cover >= tau_c), 1).otherwise(0))
     good = F.max(F.when((F.col("toxic") == 0) & (cover >= tau_s), 1).otherwise(0))
     out = rows.groupBy("thread_id", "advice_no").agg(bad.alias("bad"), good.alias("good"))

@@ -43,3 +43,12 @@ def test_shards_and_slices_give_what_one_pass_gives(spark, monkeypatch):
 def test_each_cell_has_a_partition_of_its_own(spark):
     rows = spark.createDataFrame([(x,) for x in placed(spark, 15)], "place long").repartition(15, "place")
     assert rows.select(F.spark_partition_id().alias("p")).distinct().count() == 15
+
+
+def test_verdicts_by_counts_are_those_by_passages(spark):
+    p = spark.createDataFrame([(1, "take aspirin with water daily", 0), (2, "never take aspirin daily with water", 1), (3, "other matters", 0)], "doc_id long, text string, toxic int")
+    advice = spark.createDataFrame([(7, 0, "take aspirin daily"), (7, 1, "other things happen"), (8, 0, "an ox"), (9, 0, "sleep")], "thread_id long, advice_no int, advice_text string")
+    hits = U.bm25(advice, p, 1, qid=["thread_id", "advice_no"], qtext="advice_text")
+    by_counts = U.verdicts(advice, hits, p)
+    assert sorted(map(tuple, by_counts.collect())) == sorted(map(tuple, U.verdicts(advice, hits.drop("shared"), p).collect()))
+    assert "array_intersect" not in by_counts._jdf.queryExecution().optimizedPlan().toString()
