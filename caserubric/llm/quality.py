@@ -9,24 +9,23 @@ beginnings of words, fitted on a bounded sample of labelled rows; they are rejec
 
 from __future__ import annotations
 
-import math
 import re
 from collections import Counter
 from collections.abc import Iterator
-from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
-import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import WORD, publish
+from .neardup import mixed
 
 FIND = re.compile(WORD).findall
 BINS = 1 << 14
 SAMPLE_DOCS = 4000  # expected size of the training sample, whatever the corpus
 LABELLED_DOCS = 20_000  # expected number of labelled rows on which the toxic scorer is fitted
+CHUNK_TOKENS = 20_000  # tokens that are looked up at a time
 HARM_BINS = 1 << 17  # hashed words and beginnings of words of the toxic scorer
 
 # Frequent function words of English, German, French and Spanish.
@@ -52,27 +51,67 @@ LABELLERS = (
 SIGNALS = tuple(x[0] for x in LABELLERS)
 
 
-def bin_of(name: str) -> int:
-    return xxhash.xxh64_intdigest(name.encode("utf-8", "surrogatepass")) % BINS
+ALNUM, ALPHA, UPPER, DIGIT = 1, 2, 4, 8
 
 
-@lru_cache(1 << 16)
-def shape_bin(shape: str) -> int:
-    return bin_of("s" + shape)
+class Kinds:
+    """What characters are, looked up once each."""
 
+    def __init__(self):
+        self.known = np.full(0x110000, 255, np.uint8)
 
-def shape_of(w: str) -> str:
-    """The token with A for capitals, a for other letters and 0 for digits; a run of one character counts once."""
-    return re.sub(r"(.)\1+", r"\1", "".join("A" if c.isupper() else "a" if c.isalpha() else "0" if c.isdigit() else c for c in w))
+    def of(self, chars: np.ndarray) -> np.ndarray:
+        kind = self.known[chars]
+        new = np.unique(chars[kind == 255])
+        if len(new):
+            self.known[new] = [ALNUM * c.isalnum() + ALPHA * c.isalpha() + UPPER * c.isupper() + DIGIT * c.isdigit() for c in map(chr, new.tolist())]
+            kind = self.known[chars]
+        return kind
 
 
-def harm_bins(w: str) -> list[int]:
-    """The bins of a lower-case word: the word itself and its beginnings of 2 to 8 characters."""
-    digest = xxhash.xxh64_intdigest
-    return [digest(x.encode("utf-8", "surrogatepass")) % HARM_BINS for x in ("w" + w, *("p" + w[:k] for k in range(2, min(len(w), 8) + 1)))]
+def spelled(words: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """The characters of words that aren't empty, one after another, the words' lengths, and where they start."""
+    chars = np.frombuffer("".join(words).encode("utf-32-le", "surrogatepass"), np.uint32)
+    size = np.fromiter(map(len, words), np.int64, len(words))
+    return chars, size, np.cumsum(size) - size
 
 
-def harm_scale(n: int) -> float:
+def run_hashes(chars: np.ndarray, size: np.ndarray, start: np.ndarray) -> np.ndarray:
+    """For each character a hash of its word up to it."""
+    place = np.arange(len(chars)) - np.repeat(start, size)
+    one = mixed(chars.astype(np.uint64) | (place.astype(np.uint64) << np.uint64(32)), 0x5E11)
+    total = np.cumsum(one)
+    return total - np.repeat(total[start] - one[start], size)
+
+
+def bins_of(hashes: np.ndarray, salt: int, bins: int) -> np.ndarray:
+    return (mixed(hashes, salt) % np.uint64(bins)).astype(np.int32)
+
+
+def shape_bins(chars: np.ndarray, size: np.ndarray, start: np.ndarray, kind: np.ndarray) -> np.ndarray:
+    """The bins of the words with A for capitals, a for other letters and 0 for digits; a run of one character counts once."""
+    shape = np.where(kind & UPPER, 65, np.where(kind & ALPHA, 97, np.where(kind & DIGIT, 48, chars))).astype(np.uint32)
+    fresh = np.concatenate(([True], shape[1:] != shape[:-1]))
+    fresh[start] = True
+    kept = np.add.reduceat(fresh, start, dtype=np.int64)
+    first = np.cumsum(kept) - kept
+    return bins_of(run_hashes(shape[fresh], kept, first)[first + kept - 1], 0x5A, BINS)
+
+
+def harm_bins(words: list[str]) -> tuple[np.ndarray, np.ndarray]:
+    """The bins of lower-case words, each itself and its beginnings of 2 to 8 characters, and for each bin the word's number."""
+    if not words:
+        return np.empty(0, np.int32), np.empty(0, np.int64)
+    chars, size, start = spelled(words)
+    upto = run_hashes(chars, size, start)
+    place = np.arange(len(chars)) - np.repeat(start, size)
+    begins = np.flatnonzero((place >= 1) & (place < 8))
+    owner = np.repeat(np.arange(len(words)), size)[begins]
+    bins = np.concatenate((bins_of(upto[start + size - 1], 0x77, HARM_BINS), bins_of(upto[begins], 0x70, HARM_BINS)))
+    return bins, np.concatenate((np.arange(len(words)), owner))
+
+
+def harm_scale(n):
     """A feature counts by its share of the n words, in units of 50; 20 words are added so that short texts aren't all or nothing."""
     return 50.0 / (n + 20)
 
@@ -86,25 +125,13 @@ class Tokens(dict):
 
     def __init__(self, toxic: frozenset[str] = frozenset(), weights: np.ndarray | None = None, harmful: np.ndarray | None = None):
         super().__init__()
-        self.toxic, self.weights = toxic, weights
-        self.harmful = None if harmful is None else harmful.tolist()
+        self.toxic, self.weights, self.harmful = toxic, weights, harmful
+        self.kinds = Kinds()
         self.facts, self.worth, self.harm = np.zeros((4096, 9), np.int32), np.zeros(4096), np.zeros((4096, 2))
-        self.fresh: list[int] = []  # facts of tokens that the arrays don't have yet
-        self.fresh_harm: list[float] = []
+        self.fresh: list[str] = []  # tokens that the arrays don't have yet
 
     def __missing__(self, w: str) -> int:
-        n, low = len(w), w.lower()
-        if w.isalpha():
-            marks, letters = 0, n
-        else:
-            marks, letters = n - sum(map(str.isalnum, w)), sum(map(str.isalpha, w))
-        capitals = 0 if w == low and w.islower() else sum(map(str.isupper, w))
-        toxic = low in self.toxic if low.isalnum() else not self.toxic.isdisjoint(PARTS(low))
-        shape = "a" if letters == n and not capitals else shape_of(w)
-        self.fresh += (marks, capitals, letters, low.strip(".,;:!?") in STOP_WORDS, marks == n, n, toxic, bin_of("w" + low), shape_bin(shape))
-        if self.harmful is not None:
-            parts = (low,) if low.isalnum() else PARTS(low)
-            self.fresh_harm += (sum(self.harmful[b] for p in parts for b in harm_bins(p)), len(parts))
+        self.fresh.append(w)
         k = self[w] = len(self)
         return k
 
@@ -114,29 +141,72 @@ class Tokens(dict):
         old = len(self)
         at = np.fromiter(map(self.__getitem__, ws), np.int64, len(ws))
         if self.fresh:
-            rows = np.array(self.fresh, np.int32).reshape(-1, 9)
-            self.fresh = []
             if len(self) > len(self.worth):
                 more = max(len(self), 2 * len(self.worth)) - len(self.worth)
                 self.facts, self.worth = np.concatenate((self.facts, np.zeros((more, 9), np.int32))), np.concatenate((self.worth, np.zeros(more)))
                 self.harm = np.concatenate((self.harm, np.zeros((more, 2))))
-            self.facts[old : len(self)] = rows
-            if self.weights is not None:
-                self.worth[old : len(self)] = self.weights[rows[:, 7:]].sum(axis=1)
-            if self.harmful is not None:
-                self.harm[old : len(self)] = np.array(self.fresh_harm).reshape(-1, 2)
-                self.fresh_harm = []
+            self.learn(self.fresh, slice(old, len(self)))
+            self.fresh = []
         return at
 
-
-def signals(ws: list[str], at: np.ndarray, facts: Tokens) -> tuple[tuple[float, ...], bool]:
-    """The signals of a text, and whether it has a toxic token."""
-    marks, capitals, letters, stop, bare, chars, toxic = facts.facts.take(at, axis=0).sum(axis=0, dtype=np.int64)[:7].tolist()
-    n = max(1, len(ws))
-    return (marks / max(1, chars), capitals / max(1, letters), len(set(ws)) / n, stop / n, int((at[1:] == at[:-1]).sum()) / n, bare / n), toxic > 0
-
-
-def votes(x: tuple[float, ...], n: int) -> tuple[int, ...]:
+    def learn(self, words: list[str], at: slice) -> None:
+        """Fill the rows of new tokens, all at once."""
+        low = [w.lower() for w in words]
+        chars, size, start = spelled(words)
+        kind = self.kinds.of(chars)
+        alnum, letters, capitals = (np.add.reduceat(kind & x > 0, start, dtype=np.int32) for x in (ALNUM, ALPHA, UPPER))
+        marks = size - alnum
+        plain = [x.isalnum() for x in low]
+        parts = [(x,) if whole else PARTS(x) for x, whole in zip(low, plain, strict=True)]
+        toxic = [not self.toxic.isdisjoint(p) for p in parts] if self.toxic else np.zeros(len(words), bool)
+        stop = [x.strip(".,;:!?") in STOP_WORDS for x in low]
+        spelling = spelled(low)
+        name = bins_of(run_hashes(*spelling)[spelling[2] + spelling[1] - 1], 0x3B, BINS)
+        self.facts[at] = np.column_stack((marks, capitals, letters, stop, marks == size, size, toxic, name, shape_bins(chars, size, start, kind)))
+        if self.weights is not None:
+            self.worth[at] = self.weights[self.facts[at, 7:]].sum(axis=1)
+        if self.harmful is not None:
+            n = np.fromiter(map(len, parts), np.int64, len(parts))
+            bins, part = harm_bins([x for p in parts for x in p])
+            self.harm[at, 0] = np.bincount(np.repeat(np.arange(len(parts)), n)[part], self.harmful[bins], minlength=len(parts))
+            self.harm[at, 1] = n
+
+
+def tokenised(texts: pa.Array, facts: Tokens) -> Iterator[tuple[list[list[str]], np.ndarray]]:
+    """The tokens of some texts at a time, and the numbers of all of them, which hold until the next are taken."""
+    words, n = [], 0
+    for text in texts:
+        words.append(FIND(text.as_py() or ""))
+        n += len(words[-1])
+        if n >= CHUNK_TOKENS:
+            yield words, facts.numbers([w for ws in words for w in ws])
+            words, n = [], 0
+    if words:
+        yield words, facts.numbers([w for ws in words for w in ws])
+
+
+def sums_by_text(values: np.ndarray, size: np.ndarray) -> np.ndarray:
+    """Sums of the rows of each text; 0 for a text without tokens."""
+    out = np.zeros((len(size), *values.shape[1:]), np.float64 if values.dtype.kind == "f" else np.int64)
+    some = size > 0
+    if some.any():
+        out[some] = np.add.reduceat(values, (np.cumsum(size) - size)[some], axis=0, dtype=out.dtype)
+    return out
+
+
+def signals(words: list[list[str]], at: np.ndarray, facts: Tokens) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """The signals of texts, whether they have a toxic token, and their sizes."""
+    size = np.fromiter(map(len, words), np.int64, len(words))
+    marks, capitals, letters, stop, bare, chars, toxic = sums_by_text(facts.facts[at, :7], size).T
+    n = np.maximum(1, size)
+    same = np.concatenate(([False], at[1:] == at[:-1])) if len(at) else np.empty(0, bool)
+    same[(np.cumsum(size) - size)[size > 0]] = False
+    distinct = np.fromiter((len(set(ws)) for ws in words), np.int64, len(words))
+    stutter = sums_by_text(same.astype(np.int64), size)
+    return np.column_stack((marks / np.maximum(1, chars), capitals / np.maximum(1, letters), distinct / n, stop / n, stutter / n, bare / n)), toxic > 0, size
+
+
+def votes(x: list[float], n: int) -> tuple[int, ...]:
     """1 good, -1 bad, 0 nothing for each labeller; a text of under 10 words gets no vote on its mixture of words."""
     out = []
     for (name, good, bad), v in zip(LABELLERS, x, strict=True):
@@ -181,16 +251,17 @@ def described(fraction: float):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         facts = Tokens()
         for batch in batches:
-            rows = []
-            for text, h in zip(batch.column("text"), batch.column("h").to_pylist(), strict=True):
-                ws = FIND(text.as_py() or "")
-                at = facts.numbers(ws)
-                x, _ = signals(ws, at, facts)
-                idx, val = [], []
-                if ws and h is not None and h < fraction:
-                    bins, times = np.unique(facts.facts[at, 7:], return_counts=True)
-                    idx, val = bins.tolist(), (times / len(ws)).tolist()
-                rows.append((",".join(map(str, votes(x, len(ws)))), idx, val, list(x)))
+            rows, drawn = [], iter(batch.column("h").to_pylist())
+            for words, at in tokenised(batch.column("text"), facts):
+                found, _, size = signals(words, at, facts)
+                end = 0
+                for x, n in zip(found.tolist(), size.tolist(), strict=True):
+                    h, end = next(drawn), end + n
+                    idx, val = [], []
+                    if n and h is not None and h < fraction:
+                        bins, times = np.unique(facts.facts[at[end - n : end], 7:], return_counts=True)
+                        idx, val = bins.tolist(), (times / n).tolist()
+                    rows.append((",".join(map(str, votes(x, n))), idx, val, x))
             cols = zip(*rows, strict=True) if rows else [()] * 4
             yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, (pa.string(), pa.list_(pa.int64()), pa.list_(pa.float64()), pa.list_(pa.float64())), strict=True)], ["votes", "idx", "val", "signals"])
 
@@ -221,11 +292,11 @@ def train(docs: DataFrame, text_col: str = "text", sample_docs: int = SAMPLE_DOC
 def harm_features(text: str) -> tuple[np.ndarray, np.ndarray]:
     """Bins of a text's words and their values, which depend on the share of the words that have them."""
     ws = PARTS(text.lower())
-    found: Counter = Counter()
-    for w, n in Counter(ws).items():
-        for b in harm_bins(w):
-            found[b] += n
-    return np.fromiter(found.keys(), np.int32, len(found)), np.fromiter(found.values(), np.float32, len(found)) * np.float32(harm_scale(len(ws)))
+    times = Counter(ws)
+    bins, word = harm_bins(list(times))
+    bins, at = np.unique(bins, return_inverse=True)
+    counts = np.bincount(at, np.fromiter(times.values(), np.float64, len(times))[word], minlength=len(bins))
+    return bins, counts.astype(np.float32) * np.float32(harm_scale(len(ws)))
 
 
 def harm_counts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -286,17 +357,15 @@ def scorer(weights: np.ndarray, harmful: np.ndarray | None):
         dense = weights[BINS:]
         for batch in batches:
             score, toxic, seen = [], [], []
-            for text in batch.column("text"):
-                ws = FIND(text.as_py() or "")
-                at = facts.numbers(ws)
-                x, bad = signals(ws, at, facts)
-                z = float(facts.worth[at].sum()) / max(1, len(ws)) + float(np.dot(dense, (*x, 1.0)))
-                score.append(1 / (1 + math.exp(-min(30.0, max(-30.0, z)))) if ws else 0.0)
-                if harmful is not None and not bad and ws:
-                    harm, n = facts.harm[at].sum(axis=0)
-                    bad = bool(harm * harm_scale(n) + harmful[HARM_BINS] > 0)
-                toxic.append(bad)
-                seen.append(",".join(map(str, votes(x, len(ws)))))
+            for words, at in tokenised(batch.column("text"), facts):
+                x, bad, size = signals(words, at, facts)
+                z = sums_by_text(facts.worth[at], size) / np.maximum(1, size) + x @ dense[:-1] + dense[-1]
+                score += np.where(size > 0, 1 / (1 + np.exp(-np.clip(z, -30.0, 30.0))), 0.0).tolist()
+                if harmful is not None:
+                    harm, n = sums_by_text(facts.harm[at], size).T
+                    bad |= (size > 0) & (harm * harm_scale(n) + harmful[HARM_BINS] > 0)
+                toxic += bad.tolist()
+                seen += [",".join(map(str, votes(v, n))) for v, n in zip(x.tolist(), size.tolist(), strict=True)]
             yield pa.RecordBatch.from_arrays([batch.column("row"), pa.array(score, pa.float64()), pa.array(toxic, pa.bool_()), pa.array(seen, pa.string())], ["row", "quality", "toxic", "votes"])
 
     return run
