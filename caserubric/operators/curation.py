@@ -8,6 +8,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions import text as X
+from ..shared import publish
 from . import sparse as S
 
 
@@ -159,6 +160,7 @@ def validate(screened: DataFrame, passages: DataFrame, k: int = 5, tau_inf: floa
     base = narrated(screened)
     live = screened
     if gated:
+        base = publish(base, "narrated")
         live = screened.join(base.where((F.col("s_cc") == 1) & (F.col("s_inf") > tau_inf)).select("thread_id"), "thread_id", "left_semi")
     advice = advice_rows(live)
     hits = bm25(advice, passages, k, qid=["thread_id", "advice_no"], qtext="advice_text")
@@ -197,15 +199,18 @@ class Curated:
     cases: DataFrame
     rejects: DataFrame
     funnel: DataFrame
+    threads: DataFrame
 
 
 def curate(messages: DataFrame, passages: DataFrame, k: int = 5, tau_inf: float = 0.5, tau_align: float = 0.5) -> Curated:
-    """The cascade: each tier sees what the former passed. rejects has one row per lost thread with its first reason.
+    """The cascade: each tier sees what the former passed. rejects has one row per lost thread with its first reason; threads
+    are the screened ones.
 
     Evidence is retrieved for threads with a valid complaint and a sufficient narrative, and only what is kept is audited.
+    Threads and verdicts are published, as several tiers read them and each would work them out again.
     """
-    screened = screen(assemble_threads(messages))
-    checked = validate(screened, passages, k, tau_inf, tau_align, gated=True)
+    screened = publish(screen(assemble_threads(messages)), "screened")
+    checked = publish(validate(screened, passages, k, tau_inf, tau_align, gated=True), "checked")
     audited = audit(screened.join(checked.where("keep").select("thread_id"), "thread_id", "left_semi")).select("thread_id", "supported")
     all_ = screened.join(checked, "thread_id", "left").join(audited, "thread_id", "left")
     reason = F.when(~F.col("forwarded"), "screen").when(F.col("s_cc") != 1, "complaint").when(F.col("s_inf") <= tau_inf, "sufficiency").when(F.col("vetoed"), "veto").when(~F.col("keep"), "alignment").when(~F.col("supported"), "audit")
@@ -214,4 +219,4 @@ def curate(messages: DataFrame, passages: DataFrame, k: int = 5, tau_inf: float
     place = F.coalesce(F.array_position(F.array(*map(F.lit, order)), F.col("reason")), F.lit(len(order) + 1))
     sums = [F.sum((place > i).cast("long")).alias(f"n{i}") for i in range(len(order) + 1)]
     rows = [F.struct(F.lit(i).alias("step"), F.lit(["threads", *order][i]).alias("stage"), F.coalesce(f"n{i}", F.lit(0)).alias("remaining")) for i in range(len(order) + 1)]
-    return Curated(synthesise(marked.where("reason is null")), marked.where("reason is not null").select("thread_id", "reason"), marked.agg(*sums).select(F.inline(F.array(*rows))))
+    return Curated(synthesise(marked.where("reason is null")), marked.where("reason is not null").select("thread_id", "reason"), marked.agg(*sums).select(F.inline(F.array(*rows))), screened)
