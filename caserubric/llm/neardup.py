@@ -29,7 +29,7 @@ from .common import components, join_facts, publish
 from .repeats import hashed_runs
 
 SKETCH_WORDS = 16  # of 64 bits
-SENT_CLASSES = 400_000  # classes whose sketches, some 60 MB, may be sent to all executors; more are joined by shuffles
+SENT_CLASSES = 100_000  # classes whose sketches, some 15 MB, may be sent to all executors; more are joined by shuffles
 HUB_PAIRS = 1000  # pairs that are checked exactly by one class's set in a part
 KEY_WORDS = 1 << 20  # words of 64 bits of the bitmap that tells which texts are wanted
 
