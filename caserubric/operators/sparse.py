@@ -289,4 +289,5 @@ def top_k(queries: DataFrame, corpus: DataFrame, qid: list[str], k: int, k1: flo
     if shards > 1:
         hits = hits.groupBy(*qid).agg(F.slice(F.sort_array(F.flatten(F.collect_list("hits"))), 1, k).alias("hits"))
     each = hits.select(*qid, F.posexplode("hits").alias("_at", "_hit"))
-    return each.select(*qid, F.col("_hit._doc").alias("doc_id"), (-F.col("_hit._minus")).alias("score"), (F.col("_at") + 1).alias("rank"), F.col("_hit._shared").alias("shared"))
+    found = each.select(*qid, F.col("_hit._doc").alias("doc_id"), (-F.col("_hit._minus")).alias("score"), (F.col("_at") + 1).alias("rank"), F.col("_hit._shared").alias("shared"))
+    return publish(found, "hits")  # a search runs once and leaves no shuffle files, however often its hits are read
